@@ -7,6 +7,7 @@ from importlib import import_module
 #: (module, query, attribute with its SQL or None)
 _REGISTER = [
     ("urls", "op4_url_filter", "OP4_SQL"),
+    ("bpe", "op7_bpe", None),
 ]
 
 
