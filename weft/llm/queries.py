@@ -6,8 +6,12 @@ from importlib import import_module
 
 #: (module, query, attribute with its SQL or None)
 _REGISTER = [
+    ("toxicity", "op1_toxicity", None),
     ("urls", "op4_url_filter", "OP4_SQL"),
     ("bpe", "op7_bpe", None),
+    ("minhash", "op10_minhash", "OP10_SQL"),
+    ("crosspolytope", "op2_embedding_dedup", "OP2_SQL"),
+    ("seekable", "op8_token_output", None),
 ]
 
 
