@@ -12,6 +12,12 @@ from .shared import held_out
 FOLDS = 5
 
 
+def usable_labels(labels: DataFrame, label: str) -> DataFrame:
+    """(doc_id, y) of the labels that may be learned from."""
+    usable = labels.where(F.col("doc_id").isNotNull() & F.col(label).isin(0, 1) & ~held_out(FOLDS, 0))
+    return usable.groupBy("doc_id").agg(F.max(label).cast("int").alias("y"))
+
+
 def sample(docs: DataFrame, labels: DataFrame, label: str, per_class: int) -> DataFrame:
     """(doc_id, text, y) of up to ``per_class`` labelled rows of each class that aren't held out.
 
@@ -20,8 +26,7 @@ def sample(docs: DataFrame, labels: DataFrame, label: str, per_class: int) -> Da
     broadcast of bounded size) then meet the documents.  Null ids and labels other than 0 and 1 are
     passed over; of an id with several labels the greatest counts, of a repeated document each row.
     """
-    usable = labels.where(F.col("doc_id").isNotNull() & F.col(label).isin(0, 1) & ~held_out(FOLDS, 0))
-    usable = usable.groupBy("doc_id").agg(F.max(label).cast("int").alias("y"))
+    usable = usable_labels(labels, label)
     parts = [usable.where(F.col("y") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(per_class) for y in (0, 1)]
     return docs.select("doc_id", "text").join(F.broadcast(parts[0].union(parts[1])), "doc_id")
 

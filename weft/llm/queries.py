@@ -7,9 +7,12 @@ from importlib import import_module
 #: (module, query, attribute with its SQL or None)
 _REGISTER = [
     ("toxicity", "op1_toxicity", None),
+    ("decontamination", "op3_decontamination", "OP3_SQL"),
     ("urls", "op4_url_filter", "OP4_SQL"),
+    ("quality", "op5_quality", None),
     ("bpe", "op7_bpe", None),
     ("minhash", "op10_minhash", "OP10_SQL"),
+    ("scoring", "op9_lm_scoring", None),
     ("crosspolytope", "op2_embedding_dedup", "OP2_SQL"),
     ("seekable", "op8_token_output", None),
 ]
