@@ -5,12 +5,13 @@ second permutation.  Coordinate k of a signature is the least value found k plac
 a document's shingles: all coordinates come from one table, read in runs of neighbouring places.
 
 Documents with equal shingle sets form one class, of which the smallest id stands for all.
-Classes that share a band are candidates.  First, each class of a bucket meets the bucket's
-smallest one; pairs confirmed on full sets join components.  Then the buckets that still hold
-several components are gone through once more: in blocks, signatures of classes of different
-components are compared, and each pair that could reach the threshold (the chance of a wrong
-refusal is below 1e-11) is confirmed on full sets as well, so no link that could change a
-component is lost.  Pairs inside a component aren't made at all.
+Classes that share a band are candidates.  First, each class of a bucket meets the bucket's hub,
+the class that meets others most often; pairs confirmed on full sets join components.  Then come
+the families of classes that shared bands tie together and that still hold several components: in
+blocks of bounded size, classes outside the largest component meet all others of a different
+component.  Those whose signatures could reach the threshold (the chance of a wrong refusal is
+below 1e-11) are compared on full sets, so no link that could change a component is lost; only
+links leave a block, and pairs inside a component aren't compared at all.
 """
 
 from __future__ import annotations
@@ -31,8 +32,8 @@ COORDINATES = BANDS * ROWS
 RING = 1 << 20
 #: Signatures with fewer equal coordinates than this cannot reach 0.8 (chance of error 4e-13).
 LEAST_EQUAL = 64
-#: Classes of one bucket that meet in one block of the second look.
-BLOCK = 1000
+#: Classes, and shingles of all of them, that a block of the second look holds on average, at most.
+BLOCK, BLOCK_SHINGLES = 1000, 500_000
 PLACES, VALUES = np.uint64(0xD6E8FEB86659FD93), 20250101
 
 
@@ -110,32 +111,50 @@ def confirm(pairs: DataFrame, sets: DataFrame, percent: int, work: Workspace) ->
     return work.keep(links.select("a", "b"), "links")
 
 
-def _across(members: DataFrame) -> DataFrame:
-    """Pairs (a, b) of one bucket and different components whose signatures are near enough.
+def _across(members: DataFrame, percent: int) -> DataFrame:
+    """Links (a, b) between different components of one family, no more than connect them.
 
-    ``members``: (band, value, id, root, sig, top, n, n_rest); ``top`` is the component with most
-    members of the bucket, ``n_rest`` the number outside it.  The rest meets everyone: in blocks of
-    BLOCK rows each, every pair of blocks is a group of its own, so no task gets a whole bucket.
+    ``members``: (family, id, root, sig, shingles, top, everyone, rest); ``top`` is the component with
+    most members, ``everyone`` and ``rest`` are the numbers of blocks of all members and of those
+    outside it.  The rest meets everyone: every pair of blocks is a group of its own, so no task gets
+    a whole family, and only links leave a group, not pairs.
     """
-    everyone, rest = F.ceil(F.col("n") / BLOCK), F.ceil(F.col("n_rest") / BLOCK)
     lot = lambda n: F.pmod(F.xxhash64("id"), n)
     count = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), n - 1))
-    rows = members.select("band", "value", lot(everyone).alias("i"), count(rest).alias("j"), F.lit(False).alias("rest"), "id", "root", "sig")
-    columns = members.where("root <> top").select("band", "value", count(everyone).alias("i"), lot(rest).alias("j"), F.lit(True).alias("rest"), "id", "root", "sig")
+    rows = members.select("family", lot(F.col("everyone")).alias("i"), count(F.col("rest")).alias("j"), F.lit(False).alias("outside"), "id", "root", "sig", "shingles")
+    columns = members.where("root <> top").select("family", count(F.col("everyone")).alias("i"), lot(F.col("rest")).alias("j"), F.lit(True).alias("outside"), "id", "root", "sig", "shingles")
 
     def compare(group: pa.Table) -> pa.Table:
-        ids, roots, rest = (group[c].to_numpy() for c in ("id", "root", "rest"))
+        ids, outside = group["id"].to_numpy(), group["outside"].to_numpy()
+        _, root = np.unique(group["root"].to_numpy(), return_inverse=True)
         sigs = np.frombuffer(b"".join(group["sig"].to_pylist()), np.uint8).reshape(-1, COORDINATES)
-        everyone = np.flatnonzero(~rest)
-        out_a, out_b = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
-        for r in np.flatnonzero(rest):
-            apart = everyone[roots[everyone] != roots[r]]
+        lists = group["shingles"].combine_chunks()
+        sizes = lists.value_lengths().to_numpy()
+        names, codes = np.unique(lists.flatten().to_numpy(), return_inverse=True)
+        starts = np.cumsum(sizes) - sizes
+        everyone = np.flatnonzero(~outside)
+        marked = np.zeros(len(names), bool)
+        found = []
+        for r in np.flatnonzero(outside):
+            apart = everyone[root[everyone] != root[r]]
+            apart = apart[(sizes[apart] * 100 >= sizes[r] * percent) & (sizes[r] * 100 >= sizes[apart] * percent)]
             near = apart[(sigs[apart] == sigs[r]).sum(axis=1) >= LEAST_EQUAL]
-            out_a.append(np.minimum(ids[near], ids[r]))
-            out_b.append(np.maximum(ids[near], ids[r]))
-        return pa.table({"a": np.concatenate(out_a), "b": np.concatenate(out_b)})
-
-    return rows.union(columns).groupBy("band", "value", "i", "j").applyInArrow(compare, "a long, b long").distinct()
+            if not len(near):
+                continue
+            own = codes[starts[r] : starts[r] + sizes[r]]
+            marked[own] = True
+            edges = np.cumsum(sizes[near]) - sizes[near]
+            at = np.repeat(starts[near] - edges, sizes[near]) + np.arange(sizes[near].sum())
+            both = np.add.reduceat(marked[codes[at]].astype(np.int64), edges)
+            marked[own] = False
+            for x in near[both * 100 >= (sizes[near] + sizes[r] - both) * percent]:
+                if root[x] != root[r]:
+                    found.append((min(ids[x], ids[r]), max(ids[x], ids[r])))
+                    root[root == root[x]] = root[r]
+        a, b = zip(*found) if found else ((), ())
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+    return rows.union(columns).groupBy("family", "i", "j").applyInArrow(compare, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = 5, percent: int = 80, name: str = "minhash") -> DataFrame:
@@ -157,25 +176,30 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", si
     best = whole.groupBy("digest").agg(F.min("id").alias("rep"), F.first("bands").alias("bands"), F.first("sig").alias("sig"))
     classes = work.keep(best, "classes")
     banded = classes.select(F.col("rep").alias("id"), F.posexplode("bands").alias("band", "value"))
-    several = banded.groupBy("band", "value").agg(F.min("id").alias("center"), F.count("*").alias("n")).where("n > 1")
+    several = banded.groupBy("band", "value").agg(F.count("*").alias("n")).where("n > 1")
     members = work.keep(banded.join(several, ["band", "value"]), "members")
-    met = members.select("id").distinct()
-    found = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text")).join(met, "id", "left_semi")
+    # how often a class meets others tells the texts that a bucket's copies derive from
+    meetings = members.groupBy("id").agg(F.sum("n").alias("meetings"))
+    found = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text")).join(meetings, "id", "left_semi")
     sets = work.keep(_sets(found, "id", "text", size).groupBy("id").agg(F.min("shingles").alias("shingles")), "sets")
-
-    stars = members.where("center < id").select(F.col("center").alias("a"), F.col("id").alias("b")).distinct()
+    hubs = members.join(meetings, "id").groupBy("band", "value").agg(F.max(F.struct("meetings", -F.col("id"))).alias("hub"))
+    stars = members.join(hubs.select("band", "value", (-F.col("hub.col2")).alias("hub")), ["band", "value"]).where("hub <> id")
+    stars = work.keep(stars.select(F.least("hub", "id").alias("a"), F.greatest("hub", "id").alias("b")).distinct(), "stars")
     first = confirm(stars, sets, percent, work)
+    # the second look: families of classes that buckets tie together, where they still hold several components
+    families = components(stars, work).select(F.col("node").alias("id"), F.col("root").alias("family"))
     roots = components(first, work).withColumnRenamed("node", "id")
-    # the second look: buckets that still hold several components
-    placed = work.keep(members.join(roots, "id", "left").withColumn("root", F.coalesce("root", "id")), "placed")
-    parts = placed.groupBy("band", "value", "root").agg(F.count("*").alias("k"))
-    mixed = parts.groupBy("band", "value").agg(F.max(F.struct("k", "root")).alias("top"), F.sum("k").alias("n")).where("n > top.k")
-    mixed = mixed.select("band", "value", F.col("top.root").alias("top"), "n", (F.col("n") - F.col("top.k")).alias("n_rest"))
-    open_members = placed.drop("n", "center").join(mixed, ["band", "value"]).join(classes.select(F.col("rep").alias("id"), "sig"), "id")
-    second = confirm(_across(open_members).join(stars, ["a", "b"], "left_anti"), sets, percent, work)
+    placed = families.join(roots, "id", "left").join(sets.select("id", F.size("shingles").alias("n")), "id")
+    placed = work.keep(placed.withColumn("root", F.coalesce("root", "id")), "placed")
+    parts = placed.groupBy("family", "root").agg(F.count("*").alias("k"), F.sum("n").alias("n"))
+    mixed = parts.groupBy("family").agg(F.max(F.struct("k", "root", "n")).alias("top"), F.sum("k").alias("k"), F.sum("n").alias("n")).where("k > top.k")
+    blocks = lambda k, n: F.ceil(F.greatest(k / BLOCK, n / BLOCK_SHINGLES))
+    mixed = mixed.select("family", F.col("top.root").alias("top"), blocks(F.col("k"), F.col("n")).alias("everyone"), blocks(F.col("k") - F.col("top.k"), F.col("n") - F.col("top.n")).alias("rest"))
+    open_members = placed.drop("n").join(mixed, "family").join(classes.select(F.col("rep").alias("id"), "sig"), "id").join(sets, "id")
+    second = work.keep(_across(open_members, percent), "across")
     final = components(first.union(second), work)
     placed_classes = classes.select("digest", "rep").join(final.withColumnRenamed("node", "rep"), "rep", "left").select("digest", F.coalesce("root", "rep").alias("component_id"))
-    work.drop(members, sets, placed)
+    work.drop(members, sets, stars, placed)
     return rows.drop("bands", "sig").join(placed_classes, "digest", "left").select(
         F.col("id").alias(key),
         "n_shingles",
