@@ -1,10 +1,71 @@
-"""Corpus pipeline: operators of ``weft.llm`` one after another over ``documents``."""
+"""Corpus pipeline: five operators of ``weft.llm`` one after another over ``documents``.
+
+Each stage gets what its predecessor kept, as a written table, and returns the columns of
+``documents`` (the last one: ids and decoded texts).  Texts of ``n_chars`` follow changed texts.
+"""
 
 from __future__ import annotations
 
-STAGES: list = []
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from weft.llm import bpe, decontamination, minhash, repeats, toxicity
+from weft.llm.shared import Workspace, table
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents whose toxicity score is below 0.5; rows keep all their columns.
+
+    The classifier learns from the labelled rows of the table ``documents``.
+    """
+    given = table(spark, sf_dir, "documents", "doc_id", "text")
+    network = toxicity.fit(given, table(spark, sf_dir, "labels", "doc_id", "toxic"))
+    return toxicity.keep_clean(docs, network)
+
+
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document, that with the smallest id, of each group of near copies (five-word shingles, 0.8)."""
+    judged = minhash.near_duplicates(docs, name="stage-near")
+    copies = judged.where("doc_id is not null and not kept").select(F.col("doc_id").alias("_copy")).distinct()
+    return docs.join(copies, F.col("doc_id") == F.col("_copy"), "left_anti")
+
+
+def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All documents, without passages that an earlier document has."""
+    cut = repeats.remove(docs, repeats.find(docs, name="stage-repeats"))
+    if "n_chars" in docs.columns:
+        cut = cut.withColumn("n_chars", F.when(F.col("text").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(dict(docs.dtypes)["n_chars"])))
+    return cut
+
+
+def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold no benchmark item."""
+    found = decontamination.matches(docs, table(spark, sf_dir, "benchmark", "item_id", "text"), name="stage-leaks")
+    leaks = found.select(F.col("doc_id").alias("_leak")).distinct()
+    return docs.join(leaks, F.col("doc_id") == F.col("_leak"), "left_anti")
+
+
+def to_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """(doc_id, n_tokens, ids, decoded) of every document."""
+    return bpe.encode(docs, bpe.standard_vocabulary())
+
+
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("near_copies", drop_near_copies),
+    ("repeats", cut_repeats),
+    ("leaks", drop_leaks),
+    ("tokens", to_tokens),
+]
+
+#: Trained models and tokenizers are beyond SQL; tests hold the stages against brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages over the table ``documents``; each stage's result is written and read again."""
+    work = Workspace(spark, "pipeline")
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for name, stage in STAGES[:-1]:
+        docs = work.keep(stage(spark, docs, sf_dir), name)
+    return STAGES[-1][1](spark, docs, sf_dir)

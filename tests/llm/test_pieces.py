@@ -75,3 +75,12 @@ def test_query_over_documents(spark, library):
     odd = spark.createDataFrame([(None, None, 1), (1, "", 2), (1, "a b", 3)], "doc_id long, text string, n_tokens int")
     assert sorted((r.n_tokens, r.decoded) for r in encode(odd, PATH).collect()) == [(0, ""), (0, ""), (2, "a b")]
     assert encode(odd.limit(0), PATH).count() == 0
+
+
+def test_texts_packed_together(vocabulary, library):
+    own = Coder(vocabulary, LibraryEncoder)
+    many = [*texts(), None]
+    for _ in range(2):
+        for text, packed in zip(many, own.packed_all(many)):
+            assert list(memoryview(packed).cast("I")) == library.encode(text or "", add_special_tokens=False).ids, text
+    assert all(len(p) <= 64 for p in own)

@@ -10,6 +10,7 @@ _REGISTER = [
     ("decontamination", "op3_decontamination", "OP3_SQL"),
     ("urls", "op4_url_filter", "OP4_SQL"),
     ("quality", "op5_quality", None),
+    ("repeats", "op6_suffix_dedup", None),
     ("bpe", "op7_bpe", None),
     ("minhash", "op10_minhash", "OP10_SQL"),
     ("scoring", "op9_lm_scoring", None),

@@ -23,7 +23,7 @@ DIMENSION, FILTERS, WIDTHS = 16, 16, (1, 2, 3)
 PAD = WORDS + PREFIXES
 #: Rows of each class that training reads at most; a quarter of them only sets thresholds.
 PER_CLASS = 3000
-EPOCHS, BATCH, RATE = 8, 32, 0.08
+EPOCHS, LEAST_STEPS, BATCH, RATE = 8, 1500, 32, 0.08
 #: Words that go through the network at once.
 CHUNK = 1 << 15
 
@@ -134,7 +134,7 @@ class Network:
                 s[rows] += g * g
                 p[rows] -= RATE * g / np.sqrt(s[rows])
 
-        for _ in range(EPOCHS):
+        for _ in range(max(EPOCHS, -(-LEAST_STEPS * BATCH // len(texts)))):
             order = rng.permutation(len(texts))
             for at in range(0, len(order), BATCH):
                 chosen = order[at : at + BATCH]
@@ -249,6 +249,24 @@ def score(docs: DataFrame, network: Network | None, key: str = "doc_id", text: s
     return docs.select(key, text).mapInArrow(run, f"`{key}` {kind}, score double, language string")
 
 
+def keep_clean(docs: DataFrame, network: Network | None, text: str = "text", threshold: float = 0.5) -> DataFrame:
+    """The rows of ``docs`` that score below ``threshold``, with all their columns."""
+    shared = docs.sparkSession.sparkContext.broadcast(network)
+    place = docs.columns.index(text)
+
+    def run(batches):
+        own = shared.value
+        for batch in batches:
+            for at in range(0, batch.num_rows, 1000):
+                part = batch.slice(at, 1000)
+                if own:
+                    both = [read_text(t) for t in texts_as_bytes(part.column(place))]
+                    part = part.filter(pa.array(own.scores([t for t, _ in both], np.array([x for _, x in both], int)) < threshold))
+                yield part
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def op1_toxicity(spark, sf_dir: str) -> DataFrame:
     """Toxicity score of every document, learned from the rows that aren't held out."""
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
