@@ -27,12 +27,19 @@ BLOCKS, BITS, FLIPS = 8, 8, 2
 RADIUS = BLOCKS * (FLIPS + 1) - 1
 #: Rows about the benchmark that are sent to every executor at most; beyond it, joins shuffle.
 BROADCAST_ROWS = 1_000_000
+#: Benchmark shingles that are written into the plan at most; beyond it, they are joined.
+LITERALS = 50_000
 
 
 def words_of(text: Column) -> Column:
     return F.filter(F.split(F.lower(F.coalesce(text, F.lit(""))), r"[^\p{L}\p{N}]+"), lambda w: w != "")
 
 
+def once(column: Column) -> Column:
+    """The column's value, worked out once for each row: optimiser rules don't copy it into what reads it."""
+    return F.explode(F.array(column))
+
+
 def shingles(words: Column, size: int) -> Column:
     """Hashes of the runs of ``size`` words, in order; none for fewer words."""
     return F.when(
@@ -58,6 +65,30 @@ def block_values(print_: Column) -> Column:
     return F.transform(F.sequence(F.lit(0), F.lit(BLOCKS - 1)), lambda b: F.call_function("shiftrightunsigned", print_, b * BITS).bitwiseAND(F.lit((1 << BITS) - 1).cast("long")))
 
 
+def _start(p: str, q: str) -> Column:
+    return F.greatest(F.col(p) - F.col(q), F.lit(0)).alias("start")
+
+
+def _windows_in_place(hashed: DataFrame, anchors: DataFrame, small, rows: int) -> DataFrame:
+    """(doc, h, n, start): windows of (doc, h), found without moving the documents.
+
+    The benchmark's shingles, LITERALS at most, are part of the plan; positions that don't have one
+    are passed over inside the scan.
+    """
+    wanted = [r.g for r in anchors.select("g").distinct().collect()]
+    at = F.filter(F.sequence(F.lit(0), F.size("h") - 1), lambda i: F.get("h", i).isin(wanted)) if wanted else F.array().cast("array<int>")
+    hit = hashed.where(F.size("h") > 0).select("doc", "h", once(at).alias("at"))
+    each = hit.select("doc", "h", F.explode("at").alias("p")).withColumn("g", F.get("h", F.col("p")))
+    return each.join(F.broadcast(anchors), "g").select("doc", "h", "n", _start("p", "q")).dropDuplicates(["doc", "n", "start"])
+
+
+def _windows_by_join(hashed: DataFrame, anchors: DataFrame, small, rows: int) -> DataFrame:
+    """The same for a benchmark of any size: shingles meet in a join, then places their documents in another."""
+    each = hashed.select("doc", F.posexplode("h").alias("p", "g"))
+    found = each.join(small(anchors, rows), "g").select("doc", "n", _start("p", "q")).distinct()
+    return hashed.join(found.groupBy("doc").agg(F.collect_list(F.struct("n", "start")).alias("x")), "doc").select("doc", "h", F.explode("x").alias("x")).select("doc", "h", "x.n", "x.start")
+
+
 def matches(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text", size: int = SIZE, percent: int = PERCENT, name: str = "decontamination") -> DataFrame:
     """(key, item_key, start, n_words, similarity) for each document and item that match, at the best window.
 
@@ -85,21 +116,14 @@ def matches(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str =
     small = lambda frame, rows: F.broadcast(frame) if rows <= BROADCAST_ROWS else frame
 
     texts = docs.select(F.col(key).alias("doc"), F.col(text).alias("text")).where("doc is not null")
-    own = texts.select("doc", words_of(F.col("text")).alias("w"))
-    anchors = small(known.select("k", "n", F.posexplode("h").alias("q", "h")).distinct(), bound[0])
-    starts = None
-    for k in sorted(sizes) or [size]:
-        at = own.select("doc", F.lit(k).alias("k"), F.posexplode(shingles(F.col("w"), k)).alias("p", "h"))
-        found = at.join(anchors, ["k", "h"]).select("doc", "k", "n", F.greatest(F.col("p") - F.col("q"), F.lit(0)).alias("start")).distinct()
-        starts = found if starts is None else starts.union(found)
-    starts = work.keep(starts, "starts")
-
-    laid = starts.groupBy("doc").agg(F.collect_set(F.struct("k", "n", "start")).alias("windows"))
-    met = texts.join(laid, "doc").select("doc", words_of(F.col("text")).alias("w"), "windows")
+    own = texts.select("doc", once(words_of(F.col("text"))).alias("w"))
+    anchors = known.select("k", "n", F.posexplode("h").alias("q", "g")).distinct()
+    laid = _windows_in_place if bound[0] <= LITERALS else _windows_by_join
     pieces = None
     for k in sorted(sizes) or [size]:
-        of_k = met.select("doc", shingles(F.col("w"), k).alias("h"), F.explode(F.filter("windows", lambda x: x["k"] == k)).alias("x"))
-        cut = of_k.select("doc", "x.k", "x.n", "x.start", F.expr("slice(h, x.start + 1, x.n - x.k + 1)").alias("h")).where(F.size("h") > 0)
+        hashed = own.select("doc", once(shingles(F.col("w"), k)).alias("h"))
+        found = laid(hashed, anchors.where(F.col("k") == k), small, bound[0])
+        cut = found.select("doc", F.lit(k).alias("k"), "n", "start", F.expr(f"slice(h, start + 1, n - {k} + 1)").alias("h")).where(F.size("h") > 0)
         pieces = cut if pieces is None else pieces.union(cut)
     windows = work.keep(pieces.distinct().withColumn("print", fingerprint(F.col("h"))), "windows")
 
