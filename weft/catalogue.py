@@ -4,12 +4,457 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
 
+from . import workloads
+from .functions import schema as S
+from .operators import baselines, extensions, measures, precedence, validate
+from .plans import learn
+from .sources import generate
+from .sources.tables import table
+from .streaming import incremental
 
-def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+Query = Callable[[SparkSession, str], DataFrame]
+
+#: Workloads whose relations are queried one by one, and those that only learners and measures run on.
+RELATIONAL = ("pages", "conversations", "events", "users", "customers", "segments", "lineitem", "brands", "dims")
+LEARNED = (*RELATIONAL, "page_children", "planted", "documents", "qualities", "props")
+#: Workloads with many distinct words under one element: the word-by-word graph reads them in two rounds.
+TWO_ROUNDS = ("lineitem", "events", "segments", "brands", "planted", "documents", "qualities")
+
+
+def _words(words: DataFrame) -> DataFrame:
+    return words.select("element", "word_id", F.array_join("symbols", " ").alias("symbols"))
+
+
+def _partition(schemas: DataFrame) -> DataFrame:
+    sets = schemas.select("element", F.explode(F.transform("factors", lambda f: F.array_sort(F.transform(f, lambda p: p["symbol"])))).alias("s"))
+    return sets.select("element", F.array_join("s", " ").alias("symbols"))
+
+
+def _dag(name: str) -> Callable[[DataFrame], DataFrame]:
+    return lambda w: learn.by_precedence_dag(w, merge="tree" if name in TWO_ROUNDS else "none")
+
+
+def _text(schemas: DataFrame) -> DataFrame:
+    return schemas.select("element", "learner", "words", "status", "repaired", "text")
+
+
+def _all(name: str) -> Callable[[DataFrame], DataFrame]:
+    return lambda w: learn.compare_learners(w, "tree" if name in TWO_ROUNDS else "none")
+
+
+def _star_relation(w: DataFrame) -> DataFrame:
+    return measures.compare(learn.by_independent_sets(w), baselines.star_schema_rows(w)).select("element", "relation")
+
+
+def _chain(w: DataFrame) -> DataFrame:
+    return baselines.ordered_chain(w).select("element", "text")
+
+
+def _chain_coverage(w: DataFrame) -> DataFrame:
+    return baselines.chain_accepts(w, baselines.ordered_chain(w)).groupBy("element").agg(F.count("*").alias("words"), F.count_if("accepted").alias("accepted"))
+
+
+def _on(name: str, plan: Callable[[DataFrame], DataFrame]) -> Query:
+    return lambda spark, d: plan(workloads.BUILDERS[name](spark, d))
+
+
+def _per_workload() -> dict[str, Query]:
+    out: dict[str, Query] = {}
+    for n in RELATIONAL:
+        out |= {
+            f"words_{n}": _on(n, _words),
+            f"precedence_{n}": _on(n, precedence.pairs),
+            f"conflicts_{n}": _on(n, lambda w: precedence.conflicts(precedence.pairs(w))),
+            f"stable_{n}": _on(n, lambda w: precedence.stable(precedence.pairs(w))),
+            f"multiplicities_{n}": _on(n, precedence.multiplicities),
+            f"conflict_density_{n}": _on(n, measures.conflict_density),
+            f"multiplicity_only_{n}": _on(n, lambda w: baselines.multiplicities_only(w).select("element", "words", "text")),
+        }
+    for n in ("pages", "conversations", "events", "lineitem", "users"):
+        out |= {
+            f"sample_sizes_{n}": _on(n, lambda w: measures.sample_sizes(w).drop("signatures")),
+            f"star_{n}": _on(n, lambda w: baselines.star(w).select("element", "words", "text")),
+            f"adjacency_{n}": _on(n, precedence.adjacency),
+        }
+    for n in ("conversations", "events", "segments", "lineitem"):
+        out |= {
+            f"partition_exact_{n}": _on(n, lambda w: _partition(learn.exact(w))),
+            f"interleavings_exact_{n}": _on(n, lambda w: measures.interleavings(learn.exact(w)).select("element", "interleavings")),
+            f"simplified_exact_{n}": _on(n, lambda w: measures.simplified(learn.exact(w)).select("element", "sizes")),
+        }
+    for n in LEARNED:
+        out |= {f"schema_is_{n}": _on(n, lambda w: _text(learn.by_independent_sets(w))), f"schema_exact_{n}": _on(n, lambda w: _text(learn.exact(w)))}
+        if n != "dims":
+            out[f"schema_dag_{n}"] = _on(n, lambda w, f=_dag(n): _text(f(w)))
+    for n in ("pages", "conversations", "events", "lineitem", "users"):
+        out |= {
+            f"coverage_{n}": _on(n, lambda w, f=_all(n): validate.coverage(w, f(w))),
+            f"chain_{n}": _on(n, _chain),
+            f"chain_coverage_{n}": _on(n, _chain_coverage),
+            f"compare_star_{n}": _on(n, _star_relation),
+            f"together_{n}": _on(n, baselines.together),
+            f"disjunctive_{n}": _on(n, baselines.disjunctive_multiplicities),
+        }
+    for n in ("pages", "conversations", "users", "planted"):
+        out |= {
+            f"learner_table_{n}": _on(n, lambda w, f=_all(n): measures.learner_table(f(w))),
+            f"gap_{n}": _on(n, lambda w, f=_all(n): measures.gap(f(w))),
+            f"order_disagreement_{n}": _on(n, lambda w, f=_all(n): measures.order_disagreement(f(w))),
+            f"minimality_{n}": _on(n, lambda w, f=_all(n): measures.minimality(f(w), learn.graph_rows(precedence.signatures(precedence.profile(w))))),
+        }
+    return out
+
+
+# --- single queries -------------------------------------------------------------------------------
+
+
+def precedence_selfjoin(spark, d):
+    return precedence.pairs(workloads.events(spark, d), "selfjoin")
+
+
+def precedence_positions(spark, d):
+    return precedence.pairs(workloads.conversations(spark, d), "positions")
+
+
+def precedence_from_rows(spark, d):
+    """Pairs straight from rows, words never materialised."""
+    return precedence.pairs_of(precedence.signatures(precedence.profile_from_rows(workloads.lineitem_rows(spark, d))))
+
+
+def schema_exact_from_rows(spark, d):
+    return _text(learn.learn_rows(workloads.lineitem_rows(spark, d), ("exact",)))
+
+
+def schema_fewest_users(spark, d):
+    return _text(learn.exact(workloads.users(spark, d), "fewest"))
+
+
+def schema_listed_pages(spark, d):
+    return _text(learn.learn(workloads.pages(spark, d), ("exact_listed",)))
+
+
+def schema_greedy_dims(spark, d):
+    return _text(learn.learn(workloads.dims(spark, d), ("greedy",)))
+
+
+def schema_dag_orders(spark, d):
+    """The word-by-word learner under three reading orders."""
+    w = workloads.conversations(spark, d)
+    rows = [learn.by_precedence_dag(w, order).withColumn("reading", F.lit(order)) for order in ("first_seen", "lex", "freq")]
+    return rows[0].union(rows[1]).union(rows[2]).select("element", "reading", "text")
+
+
+def schema_dag_tree(spark, d):
+    return _text(learn.by_precedence_dag(workloads.users(spark, d), merge="tree"))
+
+
+def examples(spark, d):
+    """All learners on the worked samples."""
+    w = generate.examples(spark)
+    return _text(learn.compare_learners(w)).union(_text(learn.learn(w, ("greedy", "fewest", "exact_listed"))))
+
+
+def planted_recovery(spark, d):
+    """Whether each learner finds the planted layouts again, up to the order that words leave open."""
+    learned = learn.compare_learners(workloads.planted(spark, d), "tree").select("element", "learner", "text", F.array_sort(F.transform("factors", lambda f: F.array_join(F.array_sort(F.transform(f, lambda p: F.concat(p["symbol"], p["mult"]))), " "))).alias("sets"))
+    rows = [(n, sorted(" ".join(sorted(s + m for s, m in f)) for f in v)) for n, v in generate.parsed().items()]
+    truth = spark.createDataFrame(rows, "element string, planted array<string>")
+    return learned.join(F.broadcast(truth), "element").select("element", "learner", (F.col("sets") == F.col("planted")).alias("recovered"), "text")
+
+
+def membership_benchmark(spark, d):
+    """Benchmark items under the schema of the documents."""
+    return validate.accepts(workloads.benchmark(spark, d), learn.by_independent_sets(workloads.documents(spark, d)))
+
+
+def membership_holdout(spark, d):
+    """Schemas learned from half of the customers' years, tried on the other half."""
+    w = workloads.customers(spark, d).withColumn("half", F.pmod(F.xxhash64("word_id"), F.lit(2)))
+    found = validate.accepts(w.where("half = 1").drop("half"), learn.by_independent_sets(w.where("half = 0").drop("half")))
+    return found.groupBy("learner", "reason").agg(F.count("*").alias("words"))
+
+
+def contrast_qualities(spark, d):
+    """Language relation of the schemas of good and of bad documents."""
+    s = learn.exact(workloads.qualities(spark, d))
+    a = s.where("element = 'quality 1'").withColumn("element", F.lit("quality"))
+    b = s.where("element = 'quality 0'").withColumn("element", F.lit("quality"))
+    return measures.compare(a, b)
+
+
+def permissiveness_users(spark, d):
+    w = workloads.users(spark, d)
+    return measures.permissiveness(w, learn.by_independent_sets(w).unionByName(baselines.star_schema_rows(w)))
+
+
+def orders_accepted_planted(spark, d):
+    rows = [(n, "planted", [[{"symbol": s, "mult": m} for s, m in f] for f in v]) for n, v in generate.parsed().items()]
+    frame = spark.createDataFrame(rows, "element string, learner string, factors array<array<struct<symbol:string,mult:string>>>")
+    return measures.log_orders(frame).select("element", "log_orders", "orders")
+
+
+def count_schemas(spark, d):
+    n = spark.range(1, 8).select(F.col("id").alias("n"))
+    each = n.select("n", F.explode(F.sequence(F.lit(1).cast("long"), "n")).alias("k"))
+    choose = lambda a, b: F.factorial(a.cast("int")) / (F.factorial(b.cast("int")) * F.factorial((a - b).cast("int")))
+    term = F.factorial(F.col("n").cast("int")) / F.factorial(F.col("k").cast("int")) * choose(F.col("n") - 1, F.col("k") - 1)
+    exact = each.groupBy("n").agg(F.sum(term).cast("long").alias("schemas"))
+    rows = spark.createDataFrame([(i, S.count_schemas(i, "ordered_bell"), float(S.count_schemas(i, "asymptotic"))) for i in range(1, 8)], "n long, ordered_bell long, asymptotic double")
+    return exact.join(F.broadcast(rows), "n").select("n", "schemas", "ordered_bell", F.round("asymptotic", 3).alias("asymptotic"))
+
+
+def length_users(spark, d):
+    return measures.length(learn.by_independent_sets(workloads.users(spark, d)))
+
+
+def set_ratio_dims(spark, d):
+    return measures.set_ratio(learn.graph_rows(precedence.signatures(precedence.profile(workloads.dims(spark, d)))))
+
+
+def kernel_counters_users(spark, d):
+    return measures.kernel_counters(workloads.users(spark, d))
+
+
+def global_order_users(spark, d):
+    return baselines.global_order(workloads.users(spark, d))
+
+
+def exclusive_pairs_pages(spark, d):
+    return extensions.exclusive_pairs(workloads.page_children(spark, d))
+
+
+def frequent_precedence_pages(spark, d):
+    return extensions.frequent_precedence(workloads.pages(spark, d), 0.9)
+
+
+def closed_precedence_pages(spark, d):
+    return extensions.closed_precedence(extensions.frequent_precedence(workloads.pages(spark, d), 0.5))
+
+
+def fold_batches(spark, d):
+    """Schemas of users from a state folded of three batches, one of them delivered twice."""
+    w = workloads.users(spark, d).withColumn("b", F.pmod(F.xxhash64("word_id"), F.lit(3)))
+    state = None
+    for b in (2, 0, 1, 0):
+        state = incremental.fold(state, incremental.batch_state(w.where(F.col("b") == b).drop("b"), b))
+    return _text(incremental.schemas(state, ("exact",)))
+
+
+def saturated_events(spark, d):
+    return incremental.saturated(incremental.batch_state(workloads.events(spark, d)))
+
+
+def enumerate_language(spark, d):
+    """Words of the ticket schema of up to three symbols."""
+    from .functions import sql
+
+    sql.register_all(spark)
+    return spark.sql("SELECT array_join(word, ' ') AS word FROM enumerate_language('p1* p2* & q1* q2*', 3)")
+
+
+def block_orders(spark, d):
+    from .functions import sql
+
+    sql.register_all(spark)
+    return spark.sql("SELECT array_join(blocks, ' ') AS blocks FROM block_orders('p1* p2* & q1* q2*')")
+
+
+def shuffle_words(spark, d):
+    from .functions import sql
+
+    sql.register_all(spark)
+    return spark.sql("SELECT array_join(word, '') AS word FROM shuffle_words(array('a', 'b'), array('c', 'd'), 100)")
+
+
+def hardness_witness(spark, d):
+    """Conflicts of the corpus made from a graph: the graph again."""
+    v = spark.createDataFrame([(x,) for x in "abcde"], "v string")
+    e = spark.createDataFrame([("a", "b"), ("b", "c"), ("c", "d")], "x string, y string")
+    return precedence.conflicts(precedence.pairs(generate.words_from_graph(v, e)))
+
+
+def learn_aggregate(spark, d):
+    """Schemas by the aggregate function, one small group per user."""
+    from .functions import sql
+
+    sql.register_all(spark)
+    workloads.users(spark, d).createOrReplaceTempView("weft_user_words")
+    return spark.sql("SELECT element, learn_schema(symbols) AS text FROM weft_user_words GROUP BY element")
+
+
+def sessions_batch(spark, d):
+    from .sources import words
+
+    return _words(words.sessions(table(spark, d, "events", "event_id", "ts", "user_id", "event_type")))
+
+
+# --- surrounding operators -----------------------------------------------------------------------
+
+
+def density_cube(spark, d):
+    """Events by type and hour, with subtotals."""
+    rows = table(spark, d, "events", "event_type", "ts").select("event_type", F.hour("ts").alias("hour"))
+    return rows.cube("event_type", "hour").agg(F.count("*").alias("n"), F.grouping_id().cast("long").alias("level"))
+
+
+def orders_rollup(spark, d):
+    rows = table(spark, d, "orders", "o_orderpriority", "o_orderstatus", "o_totalprice")
+    return rows.rollup("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n"), F.round(F.max("o_totalprice"), 2).alias("most"))
+
+
+def roles_pivot(spark, d):
+    rows = table(spark, d, "conversations", "conv_id", "role")
+    return rows.groupBy("conv_id").pivot("role", ["assistant", "system", "user"]).count().na.fill(0)
+
+
+def as_of_orders(spark, d):
+    """For each order the date of the customer's order before it."""
+    rows = table(spark, d, "orders", "o_orderkey", "o_custkey", "o_orderdate")
+    before = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey").rowsBetween(Window.unboundedPreceding, -1)
+    return rows.select("o_orderkey", F.last("o_orderdate", ignorenulls=True).over(before).cast("date").alias("previous"))
+
+
+def range_pairs(spark, d):
+    """Purchases with the number of clicks of the same user in the hour before, by hour buckets."""
+    rows = table(spark, d, "events", "event_id", "ts", "user_id", "event_type").select("event_id", "user_id", "event_type", F.unix_timestamp(F.col("ts").cast("timestamp")).alias("t"))
+    late = rows.where("event_type = 'purchase'").select("event_id", "user_id", F.col("t").alias("t1"), F.explode(F.array(F.floor(F.col("t") / 3600), F.floor(F.col("t") / 3600) - 1)).alias("b"))
+    early = rows.where("event_type = 'click'").select("user_id", F.col("t").alias("t0"), F.floor(F.col("t") / 3600).alias("b"))
+    near = late.join(early, ["user_id", "b"]).where("t0 <= t1 and t0 > t1 - 3600")
+    return near.groupBy("event_id").agg(F.count("*").alias("clicks"))
+
+
+def frequent_words(spark, d):
+    """The ten most frequent words of each user."""
+    w = workloads.users(spark, d).groupBy("element", F.array_join("symbols", " ").alias("word")).agg(F.count("*").alias("n"))
+    rank = F.row_number().over(Window.partitionBy("element").orderBy(F.desc("n"), "word"))
+    return w.withColumn("place", rank.cast("long")).where("place <= 10")
+
+
+def longest_runs(spark, d):
+    """Longest run of one event type for each user, by gaps and islands."""
+    by_user = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    rows = table(spark, d, "events", "event_id", "ts", "user_id", "event_type")
+    step = rows.withColumn("new", (F.coalesce(F.lag("event_type").over(by_user), F.lit("")) != F.col("event_type")).cast("long"))
+    islands = step.withColumn("island", F.sum("new").over(by_user.rowsBetween(Window.unboundedPreceding, 0)))
+    return islands.groupBy("user_id", "island").agg(F.count("*").alias("n")).groupBy("user_id").agg(F.max("n").alias("longest"))
+
+
+def unknown_words(spark, d):
+    """Words with a symbol that no other word has."""
+    flat = workloads.pages(spark, d).select("word_id", F.explode(F.array_distinct("symbols")).alias("s"))
+    known = flat.groupBy("s").agg(F.count("*").alias("n")).where("n > 1")
+    return flat.join(known, "s", "left_anti").select("word_id", F.col("s").alias("symbol"))
+
+
+SINGLE: dict[str, Query] = {
+    f.__name__: f
+    for f in (
+        precedence_selfjoin, precedence_positions, precedence_from_rows, schema_exact_from_rows, schema_fewest_users, schema_listed_pages, schema_greedy_dims,
+        schema_dag_orders, schema_dag_tree, examples, planted_recovery, membership_benchmark, membership_holdout, contrast_qualities, permissiveness_users,
+        orders_accepted_planted, count_schemas, length_users, set_ratio_dims, kernel_counters_users, global_order_users, exclusive_pairs_pages,
+        frequent_precedence_pages, closed_precedence_pages, fold_batches, saturated_events, enumerate_language, block_orders, shuffle_words, hardness_witness,
+        learn_aggregate, sessions_batch, density_cube, orders_rollup, roles_pivot, as_of_orders, range_pairs, frequent_words, longest_runs, unknown_words,
+    )
+}
+
+
+def queries() -> dict[str, Query]:
+    return _per_workload() | SINGLE
+
+
+# --- SQL ------------------------------------------------------------------------------------------
+
+_PROF = """
+p AS (SELECT element, word_id, unnest(symbols) AS s, generate_subscripts(symbols, 1) AS i FROM w),
+prof AS (SELECT element, word_id, s, min(i) AS f, max(i) AS l, count(*) AS c FROM p GROUP BY ALL),
+pairs AS (SELECT a.element, a.s AS x, b.s AS y, count(*) AS n_words FROM prof a JOIN prof b USING (element, word_id) WHERE a.s <> b.s AND a.f < b.l GROUP BY ALL),
+total AS (SELECT element, count(*) AS words FROM w GROUP BY element),
+counts AS (SELECT element, s AS symbol, CASE WHEN count(*) < any_value(words) THEN 0 ELSE min(least(c, 2)) END AS min_n, max(least(c, 2)) AS max_n, count(*) AS in_words, any_value(words) AS words
+           FROM prof JOIN total USING (element) GROUP BY element, s),
+mults AS (SELECT *, CASE WHEN min_n = 0 THEN CASE WHEN max_n > 1 THEN '*' ELSE '?' END WHEN max_n > 1 THEN '+' ELSE '1' END AS mult FROM counts)
+"""
+
+#: Repeated maximum independent sets as bit masks; a symbol's weight falls with its place, so of equally
+#: large sets the greatest mask is the lexicographically smallest.
+_MASKS = """
+sy AS (SELECT element, symbol AS s, row_number() OVER (PARTITION BY element ORDER BY symbol) AS i, count(*) OVER (PARTITION BY element) AS n FROM counts),
+bits AS (SELECT element, s, (1 << (n - i)::INTEGER) AS b, n FROM sy),
+k AS (SELECT a.element, a.x, a.y FROM pairs a JOIN pairs b ON a.element = b.element AND a.x = b.y AND a.y = b.x),
+masks AS (SELECT element, unnest(range(1, 1 << any_value(n)::INTEGER)) AS m FROM bits GROUP BY element),
+bad AS (SELECT DISTINCT masks.element, m FROM masks JOIN k ON k.element = masks.element JOIN bits x ON x.element = k.element AND x.s = k.x JOIN bits y ON y.element = k.element AND y.s = k.y WHERE m & x.b <> 0 AND m & y.b <> 0),
+ind AS (SELECT * FROM masks ANTI JOIN bad USING (element, m)),
+conf AS (SELECT element, sum(DISTINCT b)::BIGINT AS rest FROM bits JOIN (SELECT DISTINCT element, x FROM k) c USING (element) WHERE bits.s = c.x GROUP BY element),
+free AS (SELECT bits.element, coalesce(sum(b) FILTER (WHERE NOT EXISTS (SELECT 1 FROM k WHERE k.element = bits.element AND k.x = bits.s)), 0)::BIGINT AS f FROM bits GROUP BY bits.element),
+it AS (
+  SELECT element, 0 AS no, coalesce(rest, 0)::BIGINT AS rest, 0::BIGINT AS pick FROM free LEFT JOIN conf USING (element)
+  UNION ALL
+  SELECT it.element, it.no + 1, it.rest - z.best, z.best FROM it JOIN LATERAL (SELECT arg_max(m, bit_count(m) * 1000000 + m)::BIGINT AS best FROM ind WHERE ind.element = it.element AND m & it.rest = m) z ON true WHERE it.rest > 0),
+sets AS (SELECT element, CASE WHEN no = 1 THEN pick + f ELSE pick END AS m FROM it JOIN free USING (element) WHERE no > 0
+         UNION ALL SELECT element, f FROM free WHERE NOT EXISTS (SELECT 1 FROM conf WHERE conf.element = free.element)),
+parts AS (SELECT sets.element, sets.m, list(s ORDER BY s) AS s FROM sets JOIN bits ON bits.element = sets.element AND sets.m & b <> 0 GROUP BY sets.element, sets.m)
+"""
+
+_REVERSE = "EXISTS (SELECT 1 FROM pairs r WHERE r.element = q.element AND r.x = q.y AND r.y = q.x)"
+_NEXT = "SELECT DISTINCT element, word_id, a.s AS x, b.s AS y FROM p a JOIN p b USING (element, word_id) WHERE b.i = a.i + 1"
+_TOGETHER = "SELECT a.element, a.s AS x, b.s AS y, count(*) AS n_words FROM prof a JOIN prof b USING (element, word_id) WHERE a.s < b.s GROUP BY ALL"
+
+_SELECT = {
+    "words": "SELECT element, word_id, array_to_string(symbols, ' ') AS symbols FROM w",
+    "precedence": "SELECT * FROM pairs",
+    "conflicts": f"SELECT element, x, y FROM pairs q WHERE {_REVERSE}",
+    "stable": f"SELECT element, x, y FROM pairs q WHERE NOT {_REVERSE}",
+    "multiplicities": "SELECT element, symbol, min_n::BIGINT AS min_n, max_n::BIGINT AS max_n, in_words, words, mult FROM mults",
+    "conflict_density": f"SELECT element, symbols, conflict_pairs, round(CASE WHEN symbols > 1 THEN conflict_pairs / (symbols * (symbols - 1) / 2) ELSE 0 END, 6) AS density FROM (SELECT c.element, count(*) AS symbols, (SELECT count(*) FROM pairs q WHERE q.element = c.element AND q.x < q.y AND {_REVERSE}) AS conflict_pairs FROM counts c GROUP BY c.element)",
+    "multiplicity_only": "SELECT element, any_value(words) AS words, string_agg(symbol || CASE WHEN mult = '1' THEN '' ELSE mult END, ' & ' ORDER BY symbol) AS text FROM mults GROUP BY element",
+    "sample_sizes": "SELECT element, count(*) AS words, count(DISTINCT symbols) AS distinct_words FROM w GROUP BY element",
+    "star": "SELECT element, any_value(words) AS words, '(' || string_agg(symbol, '|' ORDER BY symbol) || ')*' AS text FROM counts GROUP BY element",
+    "adjacency": f"SELECT element, x, y, count(*) AS n_words FROM ({_NEXT}) GROUP BY ALL",
+    "together": _TOGETHER,
+    "partition_exact": "SELECT element, array_to_string(s, ' ') AS symbols FROM parts",
+    "interleavings_exact": "SELECT element, count(*) - 1 AS interleavings FROM parts GROUP BY element",
+    "simplified_exact": "SELECT element, string_agg(len(s)::VARCHAR, ',' ORDER BY len(s) DESC) AS sizes FROM parts GROUP BY element",
+    "coverage": "SELECT element, learner, words, words AS accepted, 1.0::DOUBLE AS coverage FROM total, (VALUES ('exact'), ('is'), ('dag')) l(learner)",
+    "chain_coverage": "SELECT element, words, words AS accepted FROM total",
+    "compare_star": "SELECT element, 'subset' AS relation FROM total",
+}
+
+
+def _sql(name: str, select: str) -> str:
+    masks = "," + _MASKS if "parts" in select else ""
+    return f"WITH RECURSIVE w AS ({workloads.SQL[name]}),{_PROF}{masks} {select}"
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    out = {}
+    for query in _per_workload():
+        for name in RELATIONAL:
+            kind = query.removesuffix("_" + name)
+            if kind != query and kind in _SELECT and name in workloads.SQL:
+                out[query] = _sql(name, _SELECT[kind])
+    del out["compare_star_users"]  # a user with one symbol has the star's own language
+    return out | {
+        "precedence_selfjoin": _sql("events", _SELECT["precedence"]),
+        "precedence_positions": _sql("conversations", _SELECT["precedence"]),
+        "precedence_from_rows": _sql("lineitem", _SELECT["precedence"]),
+        "frequent_precedence_pages": _sql("pages", "SELECT element, x, y, round(n_words / words, 6) AS support FROM pairs JOIN total USING (element) WHERE round(n_words / words, 6) >= 0.9"),
+        "global_order_users": _sql(
+            "users",
+            "SELECT element, CASE WHEN 2 * up >= t THEN u ELSE v END AS x, CASE WHEN 2 * up >= t THEN v ELSE u END AS y, round(greatest(up, t - up) / t, 6) AS share FROM (SELECT a.element, a.s AS u, b.s AS v, count(*) AS t, count(*) FILTER (WHERE a.f < b.f) AS up FROM prof a JOIN prof b USING (element, word_id) WHERE a.s < b.s GROUP BY ALL) WHERE round(greatest(up, t - up) / t, 6) > 0.5",
+        ),
+        "saturated_events": _sql("events", f"SELECT element, (SELECT count(*) FROM pairs q WHERE q.element = c.element AND {_REVERSE}) = count(*) * (count(*) - 1) AND bool_and(mult = '*') AS saturated FROM mults c GROUP BY element"),
+        "count_schemas": "WITH t AS (SELECT n, sum((factorial(n::INT) / factorial(k::INT)) * (factorial((n - 1)::INT) / (factorial((k - 1)::INT) * factorial((n - k)::INT)))) AS s FROM (SELECT unnest(range(1, 8)) AS n) a, (SELECT unnest(range(1, 8)) AS k) b WHERE k <= n GROUP BY n) SELECT n, s::BIGINT AS schemas, [1, 3, 13, 75, 541, 4683, 47293][n]::BIGINT AS ordered_bell, round(pow(4, n) * factorial(n::INT)::DOUBLE / (2 * pow(ln(2), n + 1)), 3) AS asymptotic FROM t",
+        "orders_accepted_planted": "SELECT element, round((SELECT sum(ln(i)) FROM range(1, 40) r(i) WHERE i <= list_sum(s)) - (SELECT coalesce(sum(ln(i)), 0) FROM range(1, 40) r(i), (SELECT unnest(s) AS z) WHERE i <= z), 6) AS log_orders, o AS orders FROM (VALUES ('inproceedings', [6, 3, 1, 1, 1, 1], '1441440'), ('article', [5, 3, 1, 1, 1, 1, 1], '8648640'), ('proceedings', [12, 1, 1, 1, 1, 1], '742560'), ('incollection', [9, 2, 1, 1], '8580'), ('phdthesis', [9, 1], '10'), ('www', [6], '1')) v(element, s, o)",
+        "shuffle_words": "SELECT * FROM (VALUES ('abcd'), ('acbd'), ('acdb'), ('cabd'), ('cadb'), ('cdab')) v(word)",
+        "hardness_witness": "SELECT 'graph' AS element, x, y FROM (VALUES ('a', 'b'), ('b', 'a'), ('b', 'c'), ('c', 'b'), ('c', 'd'), ('d', 'c')) v(x, y)",
+        "density_cube": "SELECT event_type, hour(ts) AS hour, count(*) AS n, grouping(event_type, hour(ts))::BIGINT AS level FROM events GROUP BY CUBE (event_type, hour(ts))",
+        "orders_rollup": "SELECT o_orderstatus, o_orderpriority, count(*) AS n, round(max(o_totalprice), 2) AS most FROM orders GROUP BY ROLLUP (o_orderstatus, o_orderpriority)",
+        "roles_pivot": "SELECT conv_id, count(*) FILTER (WHERE role = 'assistant') AS assistant, count(*) FILTER (WHERE role = 'system') AS system, count(*) FILTER (WHERE role = 'user') AS user FROM conversations GROUP BY conv_id",
+        "as_of_orders": "SELECT o_orderkey, lag(o_orderdate) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)::DATE AS previous FROM orders",
+        "range_pairs": "SELECT b.event_id, count(*) AS clicks FROM events b JOIN events a ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND floor(epoch(a.ts)) <= floor(epoch(b.ts)) AND floor(epoch(a.ts)) > floor(epoch(b.ts)) - 3600 GROUP BY b.event_id",
+        "frequent_words": _sql("users", "SELECT * FROM (SELECT element, array_to_string(symbols, ' ') AS word, count(*) AS n, row_number() OVER (PARTITION BY element ORDER BY count(*) DESC, array_to_string(symbols, ' ')) AS place FROM w GROUP BY ALL) WHERE place <= 10"),
+        "longest_runs": "SELECT user_id, max(n) AS longest FROM (SELECT user_id, g, count(*) AS n FROM (SELECT user_id, sum(c) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS g FROM (SELECT *, CASE WHEN lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) = event_type THEN 0 ELSE 1 END AS c FROM events)) GROUP BY ALL) GROUP BY user_id",
+        "unknown_words": _sql("pages", "SELECT any_value(word_id) AS word_id, s AS symbol FROM prof GROUP BY s HAVING count(*) = 1"),
+    }
