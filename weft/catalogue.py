@@ -314,7 +314,7 @@ def as_of_orders(spark, d):
     """For each order the date of the customer's order before it."""
     rows = table(spark, d, "orders", "o_orderkey", "o_custkey", "o_orderdate")
     before = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey").rowsBetween(Window.unboundedPreceding, -1)
-    return rows.select("o_orderkey", F.last("o_orderdate", ignorenulls=True).over(before).cast("date").alias("previous"))
+    return rows.select("o_orderkey", F.last("o_orderdate", ignorenulls=True).over(before).cast("date").cast("string").alias("previous"))
 
 
 def range_pairs(spark, d):
@@ -418,7 +418,7 @@ _SELECT = {
     "simplified_exact": "SELECT element, string_agg(len(s)::VARCHAR, ',' ORDER BY len(s) DESC) AS sizes FROM parts GROUP BY element",
     "coverage": "SELECT element, learner, words, words AS accepted, 1.0::DOUBLE AS coverage FROM total, (VALUES ('exact'), ('is'), ('dag')) l(learner)",
     "chain_coverage": "SELECT element, words, words AS accepted FROM total",
-    "compare_star": "SELECT element, 'subset' AS relation FROM total",
+    "compare_star": f"SELECT element, CASE WHEN bool_and(mult = '*') AND (SELECT count(*) FROM pairs q WHERE q.element = c.element AND {_REVERSE}) = count(*) * (count(*) - 1) THEN 'equal' ELSE 'subset' END AS relation FROM mults c GROUP BY element",
 }
 
 
@@ -452,9 +452,9 @@ def oracle_sql() -> dict[str, str]:
         "density_cube": "SELECT event_type, hour(ts) AS hour, count(*) AS n, grouping(event_type, hour(ts))::BIGINT AS level FROM events GROUP BY CUBE (event_type, hour(ts))",
         "orders_rollup": "SELECT o_orderstatus, o_orderpriority, count(*) AS n, round(max(o_totalprice), 2) AS most FROM orders GROUP BY ROLLUP (o_orderstatus, o_orderpriority)",
         "roles_pivot": "SELECT conv_id, count(*) FILTER (WHERE role = 'assistant') AS assistant, count(*) FILTER (WHERE role = 'system') AS system, count(*) FILTER (WHERE role = 'user') AS user FROM conversations GROUP BY conv_id",
-        "as_of_orders": "SELECT o_orderkey, lag(o_orderdate) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)::DATE AS previous FROM orders",
+        "as_of_orders": "SELECT o_orderkey, lag(o_orderdate) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)::DATE::VARCHAR AS previous FROM orders",
         "range_pairs": "SELECT b.event_id, count(*) AS clicks FROM events b JOIN events a ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND floor(epoch(a.ts)) <= floor(epoch(b.ts)) AND floor(epoch(a.ts)) > floor(epoch(b.ts)) - 3600 GROUP BY b.event_id",
-        "frequent_words": _sql("users", "SELECT * FROM (SELECT element, array_to_string(symbols, ' ') AS word, count(*) AS n, row_number() OVER (PARTITION BY element ORDER BY count(*) DESC, array_to_string(symbols, ' ')) AS place FROM w GROUP BY ALL) WHERE place <= 10"),
+        "frequent_words": _sql("users", "SELECT * FROM (SELECT element, word, n, row_number() OVER (PARTITION BY element ORDER BY n DESC, word) AS place FROM (SELECT element, array_to_string(symbols, ' ') AS word, count(*) AS n FROM w GROUP BY ALL)) WHERE place <= 10"),
         "longest_runs": "SELECT user_id, max(n) AS longest FROM (SELECT user_id, g, count(*) AS n FROM (SELECT user_id, sum(c) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS g FROM (SELECT *, CASE WHEN lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) = event_type THEN 0 ELSE 1 END AS c FROM events)) GROUP BY ALL) GROUP BY user_id",
         "unknown_words": _sql("pages", "SELECT any_value(word_id) AS word_id, s AS symbol FROM prof GROUP BY s HAVING count(*) = 1"),
     }

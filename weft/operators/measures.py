@@ -70,16 +70,22 @@ def log_orders(schemas: DataFrame) -> DataFrame:
     per = sizes(F.col("factors"))
     total = F.aggregate(per, F.lit(0), lambda s, n: s + n)
     log = log_factorial(total) - F.aggregate(F.transform(per, log_factorial), F.lit(0.0), lambda s, x: s + x)
-    return schemas.select("element", "learner", F.round(log, 6).alias("log_orders"), _orders(per).alias("orders"))
+    exact = F.udf(lambda n: str(S.orders_accepted(n)), "string")  # numbers beyond any column type; one small row per schema
+    return schemas.select("element", "learner", F.round(log, 6).alias("log_orders"), exact(per).alias("orders"))
 
 
-@F.udf("string")
-def _orders(sizes):  # numbers beyond any column type; one small row per schema
-    return str(S.orders_accepted(sizes))
+def _flat(column: str = "factors") -> Column:
+    return validate.flat(F.col(column))
 
 
-def _values(row) -> S.Schema:
-    return [[(p["symbol"], p["mult"]) for p in f] for f in row]
+def _values(flat) -> S.Schema:
+    """Factors from a flat schema; factors come in order, and symbols in their factor's order."""
+    out: S.Schema = []
+    for p in flat:
+        if p["place"] == 0:
+            out.append([])
+        out[-1].append((p["symbol"], p["mult"]))
+    return out
 
 
 def compare(a: DataFrame, b: DataFrame) -> DataFrame:
@@ -93,8 +99,8 @@ def compare(a: DataFrame, b: DataFrame) -> DataFrame:
                 [(r.element, r.a, r.b, S.compare(_values(r.fa), _values(r.fb))) for r in batch.itertuples(index=False)], columns=["element", "a", "b", "relation"]
             )
 
-    left = a.select("element", F.col("learner").alias("a"), F.col("factors").alias("fa"))
-    right = b.select("element", F.col("learner").alias("b"), F.col("factors").alias("fb"))
+    left = a.select("element", F.col("learner").alias("a"), _flat().alias("fa"))
+    right = b.select("element", F.col("learner").alias("b"), _flat().alias("fb"))
     return left.join(right, "element").mapInPandas(run, "element string, a string, b string, relation string")
 
 
@@ -113,7 +119,7 @@ def minimality(schemas: DataFrame, graph_rows: DataFrame) -> DataFrame:
                 out.append((r.element, r.learner, S.is_inclusion_minimal(_values(r.factors), after, conflicts)))
             yield pd.DataFrame(out, columns=["element", "learner", "minimal"])
 
-    return schemas.select("element", "learner", "factors").join(graph_rows, "element").mapInPandas(run, "element string, learner string, minimal boolean")
+    return schemas.select("element", "learner", _flat().alias("factors")).join(graph_rows, "element").mapInPandas(run, "element string, learner string, minimal boolean")
 
 
 def length(schemas: DataFrame) -> DataFrame:
@@ -134,7 +140,7 @@ def length(schemas: DataFrame) -> DataFrame:
                 out.append((r.element, r.learner, S.tokens(f), float(n * per + n - 1)))
             yield pd.DataFrame(out, columns=["element", "learner", "tokens", "block_tokens"])
 
-    return schemas.select("element", "learner", "factors").mapInPandas(run, "element string, learner string, tokens long, block_tokens double")
+    return schemas.select("element", "learner", _flat().alias("factors")).mapInPandas(run, "element string, learner string, tokens long, block_tokens double")
 
 
 def order_disagreement(schemas: DataFrame, a: str = "exact", b: str = "dag") -> DataFrame:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.schema import Schema, parse
@@ -31,23 +31,24 @@ def planted(keys: DataFrame, key: str, layouts: dict[str, str] = PLANTED) -> Dat
     """
     out = None
     for name, text in layouts.items():
-        parts = []
-        for i, factor in enumerate(parse(text)):
-            n = len(factor)
-            for j, (symbol, mult) in enumerate(factor):
-                low, high = DRAWN[mult]
-                count = F.lit(low) + F.pmod(F.xxhash64(key, F.lit(name), F.lit(symbol)), F.lit(high - low + 1)).cast("int")
-                # moments of a factor ascend: its place plus a share of a step, stretched by one draw for the factor
-                start = F.pmod(F.xxhash64(key, F.lit(name), F.lit(f"factor {i}")), F.lit(1000)) / 1000.0
-                moment = lambda k, i=i, j=j, n=n, symbol=symbol, start=start: start + (1 - start) * ((j + (k + F.pmod(F.xxhash64(key, F.lit(name), F.lit(symbol), k), F.lit(1000)) / 1000.0) / 4.0) / n)
-                copies = F.when(count > 0, F.transform(F.sequence(F.lit(0), count - 1), lambda k, m=moment, s=symbol, j=j: F.struct(m(k).alias("t"), F.lit(j).alias("j"), F.lit(s).alias("s"))))
-                parts.append(F.coalesce(copies, F.array().cast("array<struct<t:double,j:int,s:string>>")))
+        parts = [_copies(key, name, i, j, len(factor), symbol, mult) for i, factor in enumerate(parse(text)) for j, (symbol, mult) in enumerate(factor)]
         symbols = F.transform(F.array_sort(F.flatten(F.array(*parts))), lambda x: x["s"])
         words = keys.select(F.lit(name).alias("element"), F.col(key).cast("string").alias("word_id"), symbols.alias("symbols"))
         out = words if out is None else out.unionByName(words)
     return out
 
 
+def _copies(key: str, name: str, i: int, j: int, n: int, symbol: str, mult: str) -> Column:
+    """Moments of the copies of one symbol: its place in its factor plus a share of a step, in what one draw leaves of the word."""
+    low, high = DRAWN[mult]
+    draw = lambda *parts: F.pmod(F.xxhash64(key, F.lit(name), *parts), F.lit(1000)) / 1000.0
+    count = F.lit(low) + F.floor(draw(F.lit(symbol)) * (high - low + 1)).cast("int")
+    start = draw(F.lit(f"factor {i}"))
+    moment = lambda k: start + (1 - start) * ((j + (k + draw(F.lit(symbol), k)) / 4.0) / n)
+    copies = F.transform(F.sequence(F.lit(0), count - 1), lambda k: F.struct(moment(k).alias("t"), F.lit(j).alias("j"), F.lit(symbol).alias("s")))
+    return F.when(count > 0, copies).otherwise(F.array().cast("array<struct<t:double,j:int,s:string>>"))
+
+
 def from_words(spark: SparkSession, words: Iterable[tuple[str, str]]) -> DataFrame:
     """A corpus of (element, word) with one letter per symbol."""
     rows = [(e, str(i), list(w)) for i, (e, w) in enumerate(words)]
