@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import Workspace, hashes, mix, shingle_hashes, table, texts_as_bytes, words_of
+from .shared import Workspace, hashes, mix, parts, shingle_hashes, table, texts_as_bytes, words_of
 
 #: Least length of a repeat, and number of words whose hash selects and names a suffix.
 PASSAGE, GRAM = 50, 8
@@ -50,7 +50,7 @@ def selected(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def _suffixes(docs: DataFrame) -> DataFrame:
     def run(batches):
-        for batch in batches:
+        for batch in parts(batches):
             ids, ats, names = [], [], []
             for doc, text in zip(batch.column(0).to_pylist(), texts_as_bytes(batch.column(1))):
                 at, name = selected(hashes(words_of(text)))
@@ -173,12 +173,15 @@ def find(docs: DataFrame, key: str = "doc_id", text: str = "text", name: str = "
     several = suffixes.groupBy("name").agg(F.min("doc").alias("a"), F.max("doc").alias("b")).where("a < b").select("name")
     ats = suffixes.join(several, "name", "left_semi").select("doc", "at").distinct().groupBy("doc").agg(F.collect_list("at").alias("ats"))
     met = work.keep(_surroundings(own.join(ats, "doc")), "surroundings")
+    work.drop(suffixes)
 
     # equal surroundings: all but the earliest document repeat the whole of them
     classes = work.keep(met.groupBy("name", "right", "left").agg(F.min("doc").alias("doc"), F.min_by("at", "doc").alias("at"), F.max("doc").alias("last")), "classes")
     copies = classes.where("doc < last").select("name", "right", "left", F.col("doc").alias("of"))
     whole = met.join(copies, ["name", "right", "left"]).where("doc > of")
     whole = whole.select("doc", "at", (F.length("left") / WIDE).cast("long").alias("left"), (F.length("right") / WIDE).cast("long").alias("right"), "of")
+    whole = work.keep(whole, "whole")
+    work.drop(met)
 
     half = HALF * WIDE
     side = lambda right: classes.where(F.length("right" if right else "left") >= half).select(
@@ -193,7 +196,7 @@ def find(docs: DataFrame, key: str = "doc_id", text: str = "text", name: str = "
     count = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     ordered = dealt.repartition(count, "side", "grouped", "deal").sortWithinPartitions("side", "grouped", "deal", "main", "other", "doc", "at")
     spans = work.keep(_neighbours(ordered).union(whole).select("doc", (F.col("at") - F.col("left")).alias("start"), (F.col("at") + F.col("right")).alias("end"), "of").distinct(), "spans")
-    work.drop(suffixes, met, classes)
+    work.drop(whole, classes)
 
     def merge(batches):
         for batch in batches:
@@ -239,7 +242,7 @@ def remove(docs: DataFrame, runs: DataFrame, key: str = "doc_id", text: str = "t
     place, last = names.index(text), len(names)
 
     def run(batches):
-        for batch in batches:
+        for batch in parts(batches):
             texts, lists = batch.column(place).to_pylist(), batch.column(last).to_pylist()
             if any(lists):
                 texts = [without(t.encode(), [(r["start"], r["end"]) for r in found]).decode() if found and t is not None else t for t, found in zip(texts, lists)]

@@ -114,3 +114,10 @@ def texts_as_bytes(column) -> list[bytes | None]:
 
     kind = pa.large_binary() if pa.types.is_large_string(column.type) else pa.binary()
     return column.cast(kind).to_pylist()
+
+
+def parts(batches, rows: int = 1000):
+    """Arrow batches cut to at most so many rows, which bounds what a task holds in Python at once."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
