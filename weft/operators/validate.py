@@ -12,7 +12,8 @@ BROADCAST_SCHEMAS = 100_000
 
 
 def small(schemas: DataFrame, limit: int = BROADCAST_SCHEMAS) -> DataFrame:
-    """The schemas, marked for broadcast if there are few enough of them."""
+    """The schemas, marked for broadcast if there are few enough of them; kept, so that they aren't learned twice."""
+    schemas = schemas.persist()
     return F.broadcast(schemas) if schemas.limit(limit + 1).count() <= limit else schemas
 
 

@@ -123,29 +123,36 @@ def _order(order: str):
     return keys[order]
 
 
-def by_precedence_dag(corpus: DataFrame, order: str = "first_seen", merge: str = "none") -> DataFrame:
+def by_precedence_dag(corpus: DataFrame, order: str = "first_seen", merge: str = "none", parts: int = PARTS) -> DataFrame:
     """Heuristic learner: a precedence graph built from neighbouring symbols, word by word.
 
     Only distinct run-collapsed words are read, in a fixed order: by word_id (shorter ids first, so
-    numbers count up), lexicographically, or by falling frequency.  ``merge='tree'`` deals an element's
-    words to parts, where only words that change a part's graph are kept, and reads those in a second
-    round; no task then holds more than a part's words and the kept ones.
+    numbers count up), lexicographically, or by falling frequency.  ``merge='none'`` hands all of them
+    to one kernel call per element, as the method has it.  ``merge='tree'`` deals an element's words to
+    ``parts``, streams each part in order and keeps the words that change the part's graph; the kernel
+    then reads the kept words alone, so no task holds more than a graph and those.
     """
     words = collapsed(corpus)
     key = _order(order)
     if merge == "tree":
 
-        def keep(frame):
+        def keep(batches):
             import pandas as pd
 
-            g, held = dag.PrecedenceGraph(), []
-            for w in sorted(frame.to_dict("records"), key=key):
-                if g.absorb(list(w["symbols"])):
-                    held.append((w["element"], w["symbols"], w["first"], w["n_words"]))
-            return pd.DataFrame(held, columns=["element", "symbols", "first", "n_words"])
-
-        dealt = words.withColumn("part", F.pmod(F.xxhash64("symbols"), F.lit(PARTS)))
-        words = dealt.groupBy("element", "part").applyInPandas(keep, "element string, symbols array<string>, first string, n_words long")
+            g, own = dag.PrecedenceGraph(), None
+            for batch in batches:
+                held = []
+                for w in batch.itertuples(index=False):
+                    if (w.element, w.part) != own:
+                        g, own = dag.PrecedenceGraph(), (w.element, w.part)
+                    if g.absorb(list(w.symbols)):
+                        held.append((w.element, w.symbols, w.first, w.n_words))
+                yield pd.DataFrame(held, columns=["element", "symbols", "first", "n_words"])
+
+        dealt = words.withColumn("part", F.pmod(F.xxhash64("symbols"), F.lit(parts)))
+        ranks = {"first_seen": [F.length("first"), "first"], "lex": [], "freq": [F.desc("n_words")]}[order]
+        dealt = dealt.repartition("element", "part").sortWithinPartitions("element", "part", *ranks, "symbols")
+        words = dealt.mapInPandas(keep, "element string, symbols array<string>, first string, n_words long")
     elif merge != "none":
         raise ValueError(f"no such merge: {merge}")
     listed = words.groupBy("element").agg(F.collect_list(F.struct("symbols", "first", "n_words")).alias("read"))
