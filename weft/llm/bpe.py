@@ -8,7 +8,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from .pieces import PrefixEncoder, coder, read_vocabulary
-from .shared import table
+from .shared import parts, table
 
 
 def encode(docs: DataFrame, vocabulary: str, key: str = "doc_id", text: str = "text", digests: bool = False) -> DataFrame:
@@ -24,7 +24,7 @@ def encode(docs: DataFrame, vocabulary: str, key: str = "doc_id", text: str = "t
 
     def run(batches):
         own = coder(source, PrefixEncoder)
-        for batch in batches:
+        for batch in parts(batches):
             n, first, second = [], [], []
             for text in batch.column(1).to_pylist():
                 packed = own.packed(text)
@@ -38,6 +38,7 @@ def encode(docs: DataFrame, vocabulary: str, key: str = "doc_id", text: str = "t
                     second.append(back)
             ids = pa.array(first, pa.string()) if digests else pa.array(first, pa.list_(pa.int32()))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), ids, pa.array(second, pa.string())], names=names)
+        own.trim()
 
     names = [key, "n_tokens", *(("ids_sha256", "decoded_sha256") if digests else ("ids", "decoded"))]
     columns = "ids_sha256 string, decoded_sha256 string" if digests else "ids array<int>, decoded string"

@@ -30,6 +30,7 @@ from .shared import Workspace, table
 
 KEYS_MAGIC, TABLE_MAGIC, FOOTER_MAGIC, WITH_CHECKSUMS = 0x184D2A50, 0x184D2A5E, 0x8F92EAB1, 0x80
 LEVEL = 3
+_COMPRESSOR = zstandard.ZstdCompressor(level=LEVEL, write_checksum=False)
 #: Documents of one file, on average.
 DOCS_PER_FILE = 8192
 
@@ -37,7 +38,7 @@ DOCS_PER_FILE = 8192
 def frame_of(ids: np.ndarray, width: int) -> tuple[bytes, int, int]:
     """(frame, plain size, checksum) of a document's ids, each in ``width`` bytes."""
     plain = ids.astype("<u2" if width == 2 else "<u4").tobytes()
-    return zstandard.ZstdCompressor(level=LEVEL, write_checksum=False).compress(plain), len(plain), xxhash.xxh64_intdigest(plain) & 0xFFFFFFFF
+    return _COMPRESSOR.compress(plain), len(plain), xxhash.xxh64_intdigest(plain) & 0xFFFFFFFF
 
 
 def tail_of(keys: list[int], sizes: list[tuple[int, int, int]], width: int) -> bytes:
@@ -102,7 +103,7 @@ def encode_frames(docs: DataFrame, vocabulary: str, key: str, text: str, end_id:
         for batch in batches:
             for at in range(0, batch.num_rows, 500):
                 part = batch.slice(at, 500)
-                made = [frame_of(np.frombuffer(own.packed(t) + end, "<u4"), width) for t in part.column(1).to_pylist()]
+                made = [frame_of(np.frombuffer(ids + end, "<u4"), width) for ids in own.packed_all(part.column(1).to_pylist())]
                 frames, sizes, sums = zip(*made)
                 yield pa.RecordBatch.from_arrays(
                     [
