@@ -267,7 +267,6 @@ def test_long_texts_pool_like_one_piece(monkeypatch):
 
 
 def test_token_files(spark, tmp_path, monkeypatch):
-    import pyarrow.fs
     import zstandard
     from tokenizers import Tokenizer
 
@@ -290,7 +289,7 @@ def test_token_files(spark, tmp_path, monkeypatch):
     part = seekable.read(manifest, some).collect()
     assert len(part) == 2 and all(expected[r.doc_id] == (r.start, r.ids) for r in part)
     file = sorted(manifest.collect())[0]
-    raw = pyarrow.fs.FileSystem.from_uri(file.uri)[0].open_input_stream(file.uri.removeprefix("file://")).read()
+    raw = open(file.uri.removeprefix("file://"), "rb").read()
     plain = b"".join(zstandard.ZstdDecompressor().decompress(raw[a:b], max_output_size=1 << 24) for a, b in zip(*[seekable.Reader(file.uri).starts[:-2], seekable.Reader(file.uri).starts[1:-1]]))
     assert len(plain) == 2 * file.tokens
     path = file.uri.removeprefix("file://")
@@ -298,7 +297,8 @@ def test_token_files(spark, tmp_path, monkeypatch):
     damaged[12] ^= 1
     open(path, "wb").write(damaged)
     with pytest.raises(Exception):
-        seekable.Reader(file.uri).ids(0)
+        reader = seekable.Reader(file.uri)
+        [reader.ids(i) for i in range(len(reader))]
     assert seekable.write(docs.limit(0), f"file://{tmp_path}/none", standard_vocabulary()).count() == 0
 
 
