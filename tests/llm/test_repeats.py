@@ -69,6 +69,29 @@ def test_runs_against_brute_force(spark, monkeypatch, group):
     assert repeats.find(frame.limit(0)).count() == 0
 
 
+def covered(spark, docs):
+    out = {key: np.zeros(len(w), bool) for key, w in docs}
+    for r in repeats.find(spark.createDataFrame([(k, " ".join(w)) for k, w in docs], "doc_id long, text string")).collect():
+        out[r.doc_id][r.start : r.end] = True
+    return out
+
+
+def test_longer_passages_through_a_crowded_line_are_whole(spark, monkeypatch):
+    """Fours share 50 words through a line of 44 that the earliest document holds alone."""
+    monkeypatch.setattr(repeats, "GROUP", 20)
+    rng = random.Random(8)
+    line = words(rng, 44)
+    docs = [(0, words(rng, 40) + line + words(rng, 40))]
+    keys = list(range(1, 241))
+    rng.shuffle(keys)
+    for i in range(0, 240, 4):
+        before, after = words(rng, 3), words(rng, 3)
+        docs += [(k, words(rng, 40) + before + line + after + words(rng, 40)) for k in keys[i : i + 4]]
+    expected, got = marks(docs), covered(spark, docs)
+    assert sum(m.sum() for m in expected.values()) == 180 * 50
+    assert all((got[k] == expected[k]).all() for k in expected)
+
+
 def test_cutting_keeps_other_white_space():
     assert repeats.without("a\n b  c\td e ".encode(), [(1, 3)]) == b"a\n d e "
     assert repeats.without(b"a b", [(0, 2)]) == b""

@@ -32,7 +32,7 @@ WINDOW = PASSAGE - GRAM + 1
 HALF = PASSAGE // 2
 #: Bytes that stand for a word in what surrounds a suffix.
 WIDE = 3
-#: A group of more suffixes is dealt to several tasks.
+#: A group of more suffixes is compared by aggregates over several tasks.
 GROUP = 1000
 _WORD = re.compile(rb"[^\x20\x09-\x0d]+")
 
@@ -101,30 +101,26 @@ def common(a: bytes, b: bytes) -> int:
 def _neighbours(rows: DataFrame) -> DataFrame:
     """Spans (doc, at, left words, right words, of) of suffixes that match one of an earlier document.
 
-    ``rows`` (side, grouped, deal, doc, at, main, other, n, first), sorted inside each (side, grouped,
-    deal) by main, other, doc, at, which stay in one partition.  Groups of up to GROUP rows are compared with the
-    nearest earlier documents on both sides in sorted order; of larger ones each row meets the one
-    before, the one after and the group's earliest, so memory stays bounded.
+    ``rows`` (side, grouped, doc, at, main, other), sorted inside each (side, grouped) by main, other,
+    doc, at, which stay in one partition: groups of up to GROUP rows, so memory stays bounded.
     """
 
-    limit = GROUP
-
     def run(batches):
         out: list = []
 
         def meet(row, other):
-            if other[3] < row[3]:
-                here = common(row[5], other[5])
-                there = common(row[6], other[6])
+            if other[2] < row[2]:
+                here = common(row[4], other[4])
+                there = common(row[5], other[5])
                 left, right = (there, here) if row[0] else (here, there)
                 if left + right >= PASSAGE:
-                    out.append((row[3], row[4], left, right, other[3]))
+                    out.append((row[2], row[3], left, right, other[2]))
 
         def close(group):
             for order in (group, group[::-1]):  # nearest smaller document before, then after
                 stack: list = []
                 for row in order:
-                    while stack and stack[-1][3] >= row[3]:
+                    while stack and stack[-1][2] >= row[2]:
                         stack.pop()
                     if stack:
                         meet(row, stack[-1])
@@ -136,25 +132,42 @@ def _neighbours(rows: DataFrame) -> DataFrame:
             out.clear()
             return batch
 
-        group, key, before = [], None, None
+        group, key = [], None
         for batch in batches:
-            for row in zip(*(batch.column(i).to_pylist() for i in range(9))):
-                if row[:3] != key:
+            for row in zip(*(batch.column(i).to_pylist() for i in range(6))):
+                if row[:2] != key:
                     close(group)
-                    group, key, before = [], row[:3], None
-                if row[7] <= limit:
-                    group.append(row)
-                    continue
-                first = (0, 0, 0, row[8]["doc"], 0, row[8]["main"], row[8]["other"])
-                meet(row, first)
-                if before is not None:
-                    meet(row, before), meet(before, row)
-                before = row
+                    group, key = [], row[:2]
+                group.append(row)
             yield flush()
         close(group)
         yield flush()
 
-    return rows.select("side", "grouped", "deal", "doc", "at", "main", "other", "n", "first").mapInArrow(run, "doc long, at long, left long, right long, of long")
+    return rows.select("side", "grouped", "doc", "at", "main", "other").mapInArrow(run, "doc long, at long, left long, right long, of long")
+
+
+def _crowded(rows: DataFrame) -> DataFrame:
+    """The same spans for groups of any size: (side, grouped, n, doc, at, main, other), n rows in the group.
+
+    Every window of a passage's length that a suffix lies in is a key, split into ``m`` words of the
+    sorted side and the rest of the other; the key's earliest document is found by aggregates and
+    goes back to the windows in a join.  A group is dealt to n / GROUP parts, which bounds the rows
+    that one key brings to one task.  The two sides share no split.
+    """
+    words = lambda c: (F.length(c) / WIDE).cast("int")
+    low = F.greatest(F.when(F.col("side") == 1, HALF).otherwise(PASSAGE - HALF + 1), PASSAGE - words("other"))
+    high = F.least(F.lit(PASSAGE), words("main"))
+    cut = rows.where(low <= high).withColumn("m", F.explode(F.sequence(low, high)))
+    rest = F.lit(PASSAGE) - F.col("m")
+    split = F.xxhash64(F.substring("main", F.lit(1), F.col("m") * WIDE), F.substring("other", F.lit(1), rest * WIDE))
+    deal = F.pmod(F.xxhash64("doc", "at"), F.ceil(F.col("n") / GROUP))
+    windows = cut.select("side", "grouped", "m", split.alias("h"), deal.alias("deal"), "doc", "at")
+    keys = ["side", "grouped", "m", "h"]
+    dealt = windows.groupBy(*keys, "deal").agg(F.min("doc").alias("a"), F.max("doc").alias("b"))
+    least = dealt.groupBy(*keys).agg(F.min("a").alias("of"), F.max("b").alias("last")).where("of < last").drop("last")
+    met = windows.join(dealt.join(least, keys).select(*keys, "deal", "of"), [*keys, "deal"]).where("doc > of")
+    main, other = F.col("m").cast("long"), rest.cast("long")
+    return met.select("doc", "at", F.when(F.col("side") == 1, other).otherwise(main).alias("left"), F.when(F.col("side") == 1, main).otherwise(other).alias("right"), "of")
 
 
 def find(docs: DataFrame, key: str = "doc_id", text: str = "text", name: str = "repeats") -> DataFrame:
@@ -190,13 +203,15 @@ def find(docs: DataFrame, key: str = "doc_id", text: str = "text", name: str = "
         "doc", "at", F.col("right" if right else "left").alias("main"), F.col("left" if right else "right").alias("other"),
     )
     sided = side(True).union(side(False))
-    groups = sided.groupBy("side", "grouped").agg(F.count("*").alias("n"), F.min(F.struct("doc", "main", "other")).alias("first"), F.max("doc").alias("last")).where("first.doc < last").drop("last")
-    deal = F.when(F.col("n") > GROUP, F.xxhash64(F.substring("main", half + 1, 7 * WIDE))).otherwise(F.lit(0))
-    dealt = sided.join(groups, ["side", "grouped"]).withColumn("deal", deal)
+    groups = sided.groupBy("side", "grouped").agg(F.count("*").alias("n"), F.min("doc").alias("first"), F.max("doc").alias("last")).where("first < last")
+    groups = work.keep(groups.drop("first", "last"), "groups")
     count = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    ordered = dealt.repartition(count, "side", "grouped", "deal").sortWithinPartitions("side", "grouped", "deal", "main", "other", "doc", "at")
-    spans = work.keep(_neighbours(ordered).union(whole).select("doc", (F.col("at") - F.col("left")).alias("start"), (F.col("at") + F.col("right")).alias("end"), "of").distinct(), "spans")
-    work.drop(whole, classes)
+    few = sided.join(groups.where(F.col("n") <= GROUP), ["side", "grouped"])
+    ordered = few.repartition(count, "side", "grouped").sortWithinPartitions("side", "grouped", "main", "other", "doc", "at")
+    crowded = _crowded(sided.join(groups.where(F.col("n") > GROUP), ["side", "grouped"]))
+    found = _neighbours(ordered).union(crowded).union(whole)
+    spans = work.keep(found.select("doc", (F.col("at") - F.col("left")).alias("start"), (F.col("at") + F.col("right")).alias("end"), "of").distinct(), "spans")
+    work.drop(whole, classes, groups)
 
     def merge(batches):
         for batch in batches:
