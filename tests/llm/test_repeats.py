@@ -92,6 +92,22 @@ def test_longer_passages_through_a_crowded_line_are_whole(spark, monkeypatch):
     assert all((got[k] == expected[k]).all() for k in expected)
 
 
+@pytest.mark.parametrize("group", [1000, 5])
+def test_nested_passages_are_exact(spark, monkeypatch, group):
+    """Many documents hold other parts of the same words; nearer ones in sorted order share less in total."""
+    monkeypatch.setattr(repeats, "GROUP", group)
+    rng = random.Random(12)
+    base = words(rng, 90)
+    docs = []
+    for key in rng.sample(range(300), 120):
+        a, n = rng.randrange(0, 60), rng.randrange(30, 75)
+        docs.append((key, words(rng, 20) + base[a : a + n] + words(rng, 20)))
+    part = words(rng, 10) + base + words(rng, 60)
+    docs += [(1000, part + part), (1001, part)]  # one surrounding twice in the earliest document
+    expected, got = marks(docs), covered(spark, docs)
+    assert all((got[k] == expected[k]).all() for k in expected)
+
+
 def test_cutting_keeps_other_white_space():
     assert repeats.without("a\n b  c\td e ".encode(), [(1, 3)]) == b"a\n d e "
     assert repeats.without(b"a b", [(0, 2)]) == b""

@@ -4,10 +4,9 @@ Suffixes start at content-selected positions: of every run of ``passage`` words,
 with the least hash of its first words (a minimiser), so equal passages have suffixes at equal
 places.  Suffixes whose first words occur once drop out.  The others carry what surrounds them, as
 far as a passage that holds them can reach, and equal surroundings become one suffix of the
-earliest document.  Suffixes are then sorted by the words to the right and by the words to the
-left, in groups that share half a passage on that side (every passage shares half on one side);
-sorted neighbours and the group's earliest are compared, and a match of the sorted side is
-extended on the other one.  Of two equal passages the one in the document with the smaller key
+earliest document.  Suffixes are then put, by the words to the right and by the words to the left,
+in groups that share half a passage on that side (every passage shares half on one side);
+within a group every window of a passage's length is compared with those of all earlier documents.  Of two equal passages the one in the document with the smaller key
 stays, so no content is lost altogether.
 
 Words are runs of other than ASCII white space, A-Z lower-cased; only repeats across documents
@@ -34,6 +33,8 @@ HALF = PASSAGE // 2
 WIDE = 3
 #: A group of more suffixes is compared by aggregates over several tasks.
 GROUP = 1000
+#: A group of at most so many is compared pair by pair.
+PAIRS = 8
 _WORD = re.compile(rb"[^\x20\x09-\x0d]+")
 
 
@@ -99,32 +100,67 @@ def common(a: bytes, b: bytes) -> int:
 
 
 def _neighbours(rows: DataFrame) -> DataFrame:
-    """Spans (doc, at, left words, right words, of) of suffixes that match one of an earlier document.
+    """Spans (doc, at, left words, right words, of) of suffixes that repeat windows of earlier documents.
 
-    ``rows`` (side, grouped, doc, at, main, other), sorted inside each (side, grouped) by main, other,
-    doc, at, which stay in one partition: groups of up to GROUP rows, so memory stays bounded.
+    ``rows`` (side, grouped, doc, at, main, other), those of each (side, grouped) one after another in
+    one partition: groups of up to GROUP rows, so memory stays bounded.  Few rows are compared pair by
+    pair.  Of more, those that share ``m`` words of the grouped side go on to ``m`` + 1, and the rest of
+    a passage on the other side gives the earliest document of each window; a suffix's windows in a
+    row are one span.
     """
 
     def run(batches):
         out: list = []
 
-        def meet(row, other):
-            if other[2] < row[2]:
-                here = common(row[4], other[4])
-                there = common(row[5], other[5])
-                left, right = (there, here) if row[0] else (here, there)
-                if left + right >= PASSAGE:
-                    out.append((row[2], row[3], left, right, other[2]))
+        def tell(row, main, other, of):
+            left, right = (other, main) if row[0] else (main, other)
+            out.append((row[2], row[3], left, right, of))
+
+        def pairs(group):
+            for i, row in enumerate(group):
+                for second in group[:i]:
+                    if row[2] != second[2]:
+                        here, there = common(row[4], second[4]), common(row[5], second[5])
+                        if here + there >= PASSAGE:
+                            late, early = (row, second) if row[2] > second[2] else (second, row)
+                            tell(late, here, there, early[2])
+
+        def windows(group):
+            open_: dict = {}  # row: (first m, last m, of)
+            alive = range(len(group))
+            for m in range(HALF if group[0][0] else PASSAGE - HALF + 1, PASSAGE + 1):
+                long, rest = m * WIDE, (PASSAGE - m) * WIDE
+                sharing: dict = {}
+                for i in alive:
+                    if len(group[i][4]) >= long:
+                        sharing.setdefault(group[i][4][:long], []).append(i)
+                alive = []
+                for same in sharing.values():
+                    if len(same) == 1:
+                        continue
+                    alive += same
+                    whole = [(i, group[i][5][:rest]) for i in same if len(group[i][5]) >= rest]
+                    least: dict = {}
+                    for i, other in whole:
+                        least[other] = min(least.get(other, group[i][2]), group[i][2])
+                    for i, other in whole:
+                        of = least[other]
+                        if of < group[i][2]:
+                            first, last, known = open_.get(i, (m, m, of))
+                            if last < m - 1:
+                                tell(group[i], last, PASSAGE - first, known)
+                                first, known = m, of
+                            open_[i] = (first, m, min(of, known))
+                if not alive:
+                    break
+            for i, (first, last, of) in open_.items():
+                tell(group[i], last, PASSAGE - first, of)
 
         def close(group):
-            for order in (group, group[::-1]):  # nearest smaller document before, then after
-                stack: list = []
-                for row in order:
-                    while stack and stack[-1][2] >= row[2]:
-                        stack.pop()
-                    if stack:
-                        meet(row, stack[-1])
-                    stack.append(row)
+            if len(group) <= PAIRS:
+                pairs(group)
+            else:
+                windows(group)
 
         def flush():
             columns = zip(*out) if out else ((),) * 5
@@ -150,7 +186,7 @@ def _crowded(rows: DataFrame) -> DataFrame:
     """The same spans for groups of any size: (side, grouped, n, doc, at, main, other), n rows in the group.
 
     Every window of a passage's length that a suffix lies in is a key, split into ``m`` words of the
-    sorted side and the rest of the other; the key's earliest document is found by aggregates and
+    grouped side and the rest of the other; the key's earliest document is found by aggregates and
     goes back to the windows in a join.  A group is dealt to n / GROUP parts, which bounds the rows
     that one key brings to one task.  The two sides share no split.
     """
@@ -174,10 +210,7 @@ def find(docs: DataFrame, key: str = "doc_id", text: str = "text", name: str = "
     """(key, start, end, of) for each maximal run of words that repeats passages of earlier documents.
 
     Words ``start`` to ``end`` - 1 of the document belong to passages of ``PASSAGE`` words or more that
-    also stand in a document with a smaller key; ``of`` is the smallest such key that was met.  A run
-    reaches as far as the match with the neighbours compared: where one more document shares a few
-    more words at an edge, these may be left out.  Texts
-    of fewer words, null texts and rows with a null key have no runs; rows that repeat a key are one
+    also stand in a document with a smaller key; ``of`` is the smallest such key.  Texts of fewer words, null texts and rows with a null key have no runs; rows that repeat a key are one
     document to each other.  No rows: no runs.  Other columns are not read.
     """
     work = Workspace(docs.sparkSession, name)
@@ -189,11 +222,14 @@ def find(docs: DataFrame, key: str = "doc_id", text: str = "text", name: str = "
     work.drop(suffixes)
 
     # equal surroundings: all but the earliest document repeat the whole of them
-    classes = work.keep(met.groupBy("name", "right", "left").agg(F.min("doc").alias("doc"), F.min_by("at", "doc").alias("at"), F.max("doc").alias("last")), "classes")
-    copies = classes.where("doc < last").select("name", "right", "left", F.col("doc").alias("of"))
-    whole = met.join(copies, ["name", "right", "left"]).where("doc > of")
-    whole = whole.select("doc", "at", (F.length("left") / WIDE).cast("long").alias("left"), (F.length("right") / WIDE).cast("long").alias("right"), "of")
-    whole = work.keep(whole, "whole")
+    classes = work.keep(met.groupBy("name", "right", "left").agg(F.min("doc").alias("doc"), F.min_by("at", "doc").alias("at"), F.max("doc").alias("last"), F.count("*").alias("n")), "classes")
+    copies = classes.where("doc < last or n > 1").select("name", "right", "left", F.col("doc").alias("of"), F.col("at").alias("own"))
+    whole = met.join(copies, ["name", "right", "left"]).where("doc > of or at <> own")
+    whole = whole.select("doc", "at", (F.length("left") / WIDE).cast("long").alias("left"), (F.length("right") / WIDE).cast("long").alias("right"), "of", "own")
+    kept = work.keep(whole, "whole")
+    # more places of an earliest document with the surroundings of the one that is compared
+    again = kept.where("doc = of").groupBy("doc", F.col("own").alias("at")).agg(F.collect_list("at").alias("more"))
+    whole = kept.where("doc > of").drop("own")
     work.drop(met)
 
     half = HALF * WIDE
@@ -207,11 +243,12 @@ def find(docs: DataFrame, key: str = "doc_id", text: str = "text", name: str = "
     groups = work.keep(groups.drop("first", "last"), "groups")
     count = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     few = sided.join(groups.where(F.col("n") <= GROUP), ["side", "grouped"])
-    ordered = few.repartition(count, "side", "grouped").sortWithinPartitions("side", "grouped", "main", "other", "doc", "at")
+    ordered = few.repartition(count, "side", "grouped").sortWithinPartitions("side", "grouped")
     crowded = _crowded(sided.join(groups.where(F.col("n") > GROUP), ["side", "grouped"]))
-    found = _neighbours(ordered).union(crowded).union(whole)
+    places = F.concat(F.array("at"), F.coalesce("more", F.array().cast("array<long>")))
+    found = _neighbours(ordered).union(crowded).join(again, ["doc", "at"], "left").select("doc", F.explode(places).alias("at"), "left", "right", "of").union(whole)
     spans = work.keep(found.select("doc", (F.col("at") - F.col("left")).alias("start"), (F.col("at") + F.col("right")).alias("end"), "of").distinct(), "spans")
-    work.drop(whole, classes, groups)
+    work.drop(kept, classes, groups)
 
     def merge(batches):
         for batch in batches:
