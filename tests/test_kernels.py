@@ -1,5 +1,6 @@
 """Graph kernels, the word-by-word graph and single schemas against brute force and worked examples."""
 
+import random
 from itertools import combinations, product
 
 import pytest
@@ -51,6 +52,18 @@ def test_search_has_a_cap():
     assert len(graphs.max_independent_set(g, cap=50)) == 25
 
 
+def test_exact_learners_search_large_components():
+    from weft.plans.learn import _partition
+
+    rng = random.Random(4)
+    names = [f"s{i:02d}" for i in range(64)]
+    g = graphs.graph(names, [(a, b) for i, a in enumerate(names) for b in names[:i] if rng.random() < 0.8])
+    sets, status = _partition("exact", g)
+    assert status == "ok" and (sets, status) == _partition("exact_listed", g)
+    with pytest.raises(graphs.TooLarge):
+        graphs.max_independent_set(g, work=100)
+
+
 @settings(max_examples=100, deadline=None)
 @given(st.lists(st.tuples(st.sampled_from("abcdef"), st.sampled_from("abcdef")).filter(lambda e: e[0] < e[1]), max_size=12), st.permutations("abcdef"))
 def test_cycles_are_repaired(edges, names):

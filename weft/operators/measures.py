@@ -188,7 +188,7 @@ def set_ratio(graph_rows: DataFrame) -> DataFrame:
                 g = graphs.within(conflicts, [v for v in conflicts if conflicts[v]])
                 approx = len(graphs.auto_independent_set(g))
                 try:
-                    best = float(len(graphs.max_independent_set(g)))
+                    best = float(len(graphs.exact_independent_set(g)))
                 except graphs.TooLarge:
                     best = math.nan
                 n = len(g)

@@ -49,11 +49,9 @@ def _partition(learner: str, conflicts: graphs.Graph) -> tuple[list[list[str]],
     """Sets of symbols without conflicts, and ``ok`` or ``too_large`` (then the approximate answer)."""
     try:
         if learner == "exact":
-            return graphs.iterate_sets(conflicts, graphs.max_independent_set), "ok"
+            return graphs.iterate_sets(conflicts, graphs.exact_independent_set), "ok"
         if learner == "exact_listed":
-            if any(len(c) > graphs.MAX_EXACT for c in graphs.connected(conflicts)):
-                raise graphs.TooLarge
-            return graphs.iterate_sets(conflicts, graphs.largest_by_enumeration), "ok"
+            return graphs.iterate_sets(conflicts, lambda g: graphs.largest_by_enumeration(g, graphs.MAX_WORK)), "ok"
         if learner == "fewest":
             return graphs.fewest_sets(conflicts), "ok"
     except graphs.TooLarge:
@@ -97,7 +95,7 @@ def by_independent_sets(corpus: DataFrame) -> DataFrame:
 def exact(corpus: DataFrame, objective: str = "iterated") -> DataFrame:
     """Exact learner: repeated maximum sets (``iterated``), or as few sets as possible (``fewest``).
 
-    Beyond the cap of the search, the row has status ``too_large`` and the approximate answer.
+    Beyond the work of the search (``fewest``: its cap), the row has status ``too_large`` and the approximate answer.
     """
     return learn(corpus, ({"iterated": "exact", "fewest": "fewest"}[objective],))
 
