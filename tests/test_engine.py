@@ -172,3 +172,22 @@ def test_sql_functions_and_sinks(spark, sf, tmp_path):
 
 def test_catalogue_names():
     assert set(catalogue.oracle_sql()) <= set(catalogue.queries())
+
+
+def test_catalogue_reads_the_whole_word_by_word_graph(spark, sf):
+    from weft.operators import dag
+
+    known = catalogue.queries()
+    assert all(f"schema_dag_tree_{n}" in known and f"schema_dag_{n}" in known for n in catalogue.TWO_ROUNDS)
+    corpus = workloads.segments(spark, sf)
+    found = {r.element: r.text for r in known["schema_dag_segments"](spark, sf).collect()}
+    read = {}
+    for w in learn.collapsed(corpus).collect():
+        read.setdefault(w.element, []).append(w)
+    for row in learn.graph_rows(precedence.signatures(precedence.profile(corpus))).collect():
+        mult, conflicts, after = learn._graphs(row)
+        g = dag.PrecedenceGraph(mult)
+        for w in sorted(read[row.element], key=learn._order("first_seen")):
+            g.absorb(list(w.symbols))
+        chains, repaired = dag.chains(g, conflicts, after)
+        assert found[row.element] == learn._finished(row, "dag", chains, mult, "ok", repaired)[-1]

@@ -20,7 +20,7 @@ Query = Callable[[SparkSession, str], DataFrame]
 #: Workloads whose relations are queried one by one, and those that only learners and measures run on.
 RELATIONAL = ("pages", "conversations", "events", "users", "customers", "segments", "lineitem", "brands", "dims")
 LEARNED = (*RELATIONAL, "page_children", "planted", "documents", "qualities", "props")
-#: Workloads with many distinct words under one element: the word-by-word graph reads them in two rounds.
+#: Workloads with many distinct words under one element, on which the two-round variant of the graph runs too.
 TWO_ROUNDS = ("lineitem", "events", "segments", "brands", "planted", "documents", "qualities")
 
 
@@ -33,18 +33,10 @@ def _partition(schemas: DataFrame) -> DataFrame:
     return sets.select("element", F.array_join("s", " ").alias("symbols"))
 
 
-def _dag(name: str) -> Callable[[DataFrame], DataFrame]:
-    return lambda w: learn.by_precedence_dag(w, merge="tree" if name in TWO_ROUNDS else "none")
-
-
 def _text(schemas: DataFrame) -> DataFrame:
     return schemas.select("element", "learner", "words", "status", "repaired", "text")
 
 
-def _all(name: str) -> Callable[[DataFrame], DataFrame]:
-    return lambda w: learn.compare_learners(w, "tree" if name in TWO_ROUNDS else "none")
-
-
 def _star_relation(w: DataFrame) -> DataFrame:
     return measures.compare(learn.by_independent_sets(w), baselines.star_schema_rows(w)).select("element", "relation")
 
@@ -88,10 +80,12 @@ def _per_workload() -> dict[str, Query]:
     for n in LEARNED:
         out |= {f"schema_is_{n}": _on(n, lambda w: _text(learn.by_independent_sets(w))), f"schema_exact_{n}": _on(n, lambda w: _text(learn.exact(w)))}
         if n != "dims":
-            out[f"schema_dag_{n}"] = _on(n, lambda w, f=_dag(n): _text(f(w)))
+            out[f"schema_dag_{n}"] = _on(n, lambda w: _text(learn.by_precedence_dag(w)))
+        if n in TWO_ROUNDS:
+            out[f"schema_dag_tree_{n}"] = _on(n, lambda w: _text(learn.by_precedence_dag(w, merge="tree")))
     for n in ("pages", "conversations", "events", "lineitem", "users"):
         out |= {
-            f"coverage_{n}": _on(n, lambda w, f=_all(n): validate.coverage(w, f(w))),
+            f"coverage_{n}": _on(n, lambda w: validate.coverage(w, learn.compare_learners(w))),
             f"chain_{n}": _on(n, _chain),
             f"chain_coverage_{n}": _on(n, _chain_coverage),
             f"compare_star_{n}": _on(n, _star_relation),
@@ -100,10 +94,10 @@ def _per_workload() -> dict[str, Query]:
         }
     for n in ("pages", "conversations", "users", "planted"):
         out |= {
-            f"learner_table_{n}": _on(n, lambda w, f=_all(n): measures.learner_table(f(w))),
-            f"gap_{n}": _on(n, lambda w, f=_all(n): measures.gap(f(w))),
-            f"order_disagreement_{n}": _on(n, lambda w, f=_all(n): measures.order_disagreement(f(w))),
-            f"minimality_{n}": _on(n, lambda w, f=_all(n): measures.minimality(f(w), learn.graph_rows(precedence.signatures(precedence.profile(w))))),
+            f"learner_table_{n}": _on(n, lambda w: measures.learner_table(learn.compare_learners(w))),
+            f"gap_{n}": _on(n, lambda w: measures.gap(learn.compare_learners(w))),
+            f"order_disagreement_{n}": _on(n, lambda w: measures.order_disagreement(learn.compare_learners(w))),
+            f"minimality_{n}": _on(n, lambda w: measures.minimality(learn.compare_learners(w), learn.graph_rows(precedence.signatures(precedence.profile(w))))),
         }
     return out
 
@@ -159,7 +153,7 @@ def examples(spark, d):
 
 def planted_recovery(spark, d):
     """Whether each learner finds the planted layouts again, up to the order that words leave open."""
-    learned = learn.compare_learners(workloads.planted(spark, d), "tree").select("element", "learner", "text", F.array_sort(F.transform("factors", lambda f: F.array_join(F.array_sort(F.transform(f, lambda p: F.concat(p["symbol"], p["mult"]))), " "))).alias("sets"))
+    learned = learn.compare_learners(workloads.planted(spark, d)).select("element", "learner", "text", F.array_sort(F.transform("factors", lambda f: F.array_join(F.array_sort(F.transform(f, lambda p: F.concat(p["symbol"], p["mult"]))), " "))).alias("sets"))
     rows = [(n, sorted(" ".join(sorted(s + m for s, m in f)) for f in v)) for n, v in generate.parsed().items()]
     truth = spark.createDataFrame(rows, "element string, planted array<string>")
     return learned.join(F.broadcast(truth), "element").select("element", "learner", (F.col("sets") == F.col("planted")).alias("recovered"), "text")

@@ -125,34 +125,34 @@ def by_precedence_dag(corpus: DataFrame, order: str = "first_seen", merge: str =
     """Heuristic learner: a precedence graph built from neighbouring symbols, word by word.
 
     Only distinct run-collapsed words are read, in a fixed order: by word_id (shorter ids first, so
-    numbers count up), lexicographically, or by falling frequency.  ``merge='none'`` hands all of them
-    to one kernel call per element, as the method has it.  ``merge='tree'`` deals an element's words to
-    ``parts``, streams each part in order and keeps the words that change the part's graph; the kernel
-    then reads the kept words alone, so no task holds more than a graph and those.
+    numbers count up), lexicographically, or by falling frequency.  They are streamed in that order and
+    those that change the graph are kept; the kernel then reads the kept words alone, so no task holds
+    more than a graph and those.  ``merge='none'`` streams all words of an element through one graph,
+    as the method has it: a word that leaves it as it is can be left out.  ``merge='tree'`` (learner
+    ``dag_tree``) deals them to ``parts`` with a graph each, whose kept words need not give that graph.
     """
     words = collapsed(corpus)
     key = _order(order)
-    if merge == "tree":
-
-        def keep(batches):
-            import pandas as pd
-
-            g, own = dag.PrecedenceGraph(), None
-            for batch in batches:
-                held = []
-                for w in batch.itertuples(index=False):
-                    if (w.element, w.part) != own:
-                        g, own = dag.PrecedenceGraph(), (w.element, w.part)
-                    if g.absorb(list(w.symbols)):
-                        held.append((w.element, w.symbols, w.first, w.n_words))
-                yield pd.DataFrame(held, columns=["element", "symbols", "first", "n_words"])
-
-        dealt = words.withColumn("part", F.pmod(F.xxhash64("symbols"), F.lit(parts)))
-        ranks = {"first_seen": [F.length("first"), "first"], "lex": [], "freq": [F.desc("n_words")]}[order]
-        dealt = dealt.repartition("element", "part").sortWithinPartitions("element", "part", *ranks, "symbols")
-        words = dealt.mapInPandas(keep, "element string, symbols array<string>, first string, n_words long")
-    elif merge != "none":
+    if merge not in ("none", "tree"):
         raise ValueError(f"no such merge: {merge}")
+
+    def keep(batches):
+        import pandas as pd
+
+        g, own = dag.PrecedenceGraph(), None
+        for batch in batches:
+            held = []
+            for w in batch.itertuples(index=False):
+                if (w.element, w.part) != own:
+                    g, own = dag.PrecedenceGraph(), (w.element, w.part)
+                if g.absorb(list(w.symbols)):
+                    held.append((w.element, w.symbols, w.first, w.n_words))
+            yield pd.DataFrame(held, columns=["element", "symbols", "first", "n_words"])
+
+    dealt = words.withColumn("part", F.pmod(F.xxhash64("symbols"), F.lit(parts if merge == "tree" else 1)))
+    ranks = {"first_seen": [F.length("first"), "first"], "lex": [], "freq": [F.desc("n_words")]}[order]
+    dealt = dealt.repartition("element", "part").sortWithinPartitions("element", "part", *ranks, "symbols")
+    words = dealt.mapInPandas(keep, "element string, symbols array<string>, first string, n_words long")
     listed = words.groupBy("element").agg(F.collect_list(F.struct("symbols", "first", "n_words")).alias("read"))
     rows = graph_rows(precedence.signatures(precedence.profile(corpus))).join(listed, "element")
 
@@ -167,7 +167,7 @@ def by_precedence_dag(corpus: DataFrame, order: str = "first_seen", merge: str =
                 for w in sorted(row.read, key=key):
                     g.absorb(list(w["symbols"]))
                 chains, repaired = dag.chains(g, conflicts, after)
-                out.append(_finished(row, "dag", chains, mult, "ok", repaired))
+                out.append(_finished(row, "dag" if merge == "none" else "dag_tree", chains, mult, "ok", repaired))
             yield pd.DataFrame(out, columns=_COLUMNS)
 
     return rows.mapInPandas(run, SCHEMA)
