@@ -6,6 +6,9 @@ bytes other than ASCII white space (0x20, 0x09-0x0D) after A-Z has been lower-ca
 
 from __future__ import annotations
 
+import atexit
+import contextlib
+import ctypes
 import uuid
 
 import numpy as np
@@ -18,6 +21,9 @@ LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 
 UPPER_LETTERS, LOWER_LETTERS = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
+#: Names under which the library sets and tells its number of threads.
+_BLAS_THREADS = [(f"{a}openblas_set_num_threads{b}", f"{a}openblas_get_num_threads{b}") for a in ("scipy_", "") for b in ("64_", "")]
+
 _M1, _M2, _M3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
@@ -29,7 +35,8 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
 def shared_folder(spark: SparkSession) -> str:
     """Folder that the driver and every executor see: ``spark.checkpoint.dir``.
 
-    Where the session has none (as in tests), a folder is set once for the session.
+    A local session without one (as in tests) gets a folder of its own once; on a cluster, where a
+    folder of the driver's machine would be of no use, a session without one raises.
     """
     known = spark.conf.get("spark.checkpoint.dir", None)
     if not known:
@@ -38,6 +45,9 @@ def shared_folder(spark: SparkSession) -> str:
         if held.isEmpty():
             import tempfile
 
+            if not context.master.startswith("local"):
+                raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+
             context.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="weft-shared-"))
             held = context._jsc.sc().getCheckpointDir()
         known = held.get()
@@ -47,10 +57,17 @@ def shared_folder(spark: SparkSession) -> str:
 class Workspace:
     """Tables that an operator writes between its steps, in the shared folder.
 
-    They cut the lineage: a lost executor costs a re-read, not the steps before.
+    They cut the lineage: a lost executor costs a re-read, not the steps before.  Results read them,
+    so they stay until ``Workspace.close`` or the end of the driver's process.
     """
 
+    open: list[Workspace] = []
+
     def __init__(self, spark: SparkSession, name: str):
+        if not Workspace.open:
+            atexit.unregister(Workspace.close)
+            atexit.register(Workspace.close)
+        Workspace.open.append(self)
         self.spark = spark
         self.root = f"{shared_folder(spark)}/weft-{name}-{uuid.uuid4().hex}"
         self.count = 0
@@ -67,11 +84,48 @@ class Workspace:
         kept._weft_path = path
         return kept
 
+    def _delete(self, path: str) -> None:
+        where = self.spark._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(where, True)
+
     def drop(self, *frames: DataFrame) -> None:
         """Delete tables of ``keep`` that nothing reads any more."""
         for frame in frames:
-            where = self.spark._jvm.org.apache.hadoop.fs.Path(frame._weft_path)
-            where.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(where, True)
+            self._delete(frame._weft_path)
+
+    @staticmethod
+    def close(after: int = 0) -> None:
+        """Delete all tables of the workspaces opened since there were ``after``."""
+        for work in Workspace.open[after:]:
+            with contextlib.suppress(Exception):  # at the end, the session may be gone
+                work._delete(work.root)
+        del Workspace.open[after:]
+
+
+class one_thread:
+    """Numpy's linear algebra on one thread, as a context or for the rest of a worker process.
+
+    A task has one core; on small matrices the library's threads mostly wait for each other, and burn
+    the cores of other tasks meanwhile.  Does nothing where the library isn't the usual one.
+    """
+
+    def __init__(self):
+        self.libraries = []
+        with contextlib.suppress(OSError), open("/proc/self/maps") as maps:
+            for path in {line.split()[-1] for line in maps if "openblas" in line}:
+                library = ctypes.CDLL(path)
+                for put, get in _BLAS_THREADS:
+                    if hasattr(library, put) and hasattr(library, get):
+                        self.libraries.append((getattr(library, put), getattr(library, get)()))
+                        getattr(library, put)(1)
+                        break
+
+    def __enter__(self):
+        return self
+
+    def __exit__(self, *_):
+        for put, before in self.libraries:
+            put(before)
 
 
 def mix(x: np.ndarray) -> np.ndarray:

@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .labelled import judged, sample, sigmoid
-from .shared import table, texts_as_bytes
+from .shared import one_thread, table, texts_as_bytes
 
 WORDS, PREFIXES, PREFIX_BYTES = 1 << 15, 1 << 13, 5
 DIMENSION, FILTERS, WIDTHS = 16, 16, (1, 2, 3)
@@ -227,10 +227,11 @@ def fit(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Netwo
     if min(y[aside].sum(), (1 - y[aside]).sum()) < 5:
         aside[:] = False  # too few rows to set some aside
     network = Network()
-    at = np.flatnonzero(~aside)
-    network.train([texts[i] for i in at], y[at])
-    at = np.flatnonzero(aside) if aside.any() else at
-    network.calibrate([texts[i] for i in at], languages[at], y[at])
+    with one_thread():
+        at = np.flatnonzero(~aside)
+        network.train([texts[i] for i in at], y[at])
+        at = np.flatnonzero(aside) if aside.any() else at
+        network.calibrate([texts[i] for i in at], languages[at], y[at])
     return network
 
 
@@ -244,6 +245,7 @@ def score(docs: DataFrame, network: Network | None, key: str = "doc_id", text: s
     shared = docs.sparkSession.sparkContext.broadcast(network)
 
     def run(batches):
+        one_thread()
         own = shared.value
         for batch in batches:
             for at in range(0, batch.num_rows, 1000):
@@ -262,6 +264,7 @@ def keep_clean(docs: DataFrame, network: Network | None, text: str = "text", thr
     place = docs.columns.index(text)
 
     def run(batches):
+        one_thread()
         own = shared.value
         for batch in batches:
             for at in range(0, batch.num_rows, 1000):
