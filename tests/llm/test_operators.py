@@ -217,6 +217,53 @@ def test_leaks_equal_brute_force(spark, monkeypatch, literals):
     assert decontamination.matches(frame, spark.createDataFrame([], "item_id long, text string")).count() == 0
 
 
+@pytest.mark.parametrize("literals", [50_000, 0])
+def test_leaks_at_any_place_of_a_window(spark, monkeypatch, literals):
+    """Blocks swapped, words left out, put in and replaced: every pair of 0.8 or more is found, at its best window."""
+    monkeypatch.setattr(decontamination, "LITERALS", literals)
+    rng = random.Random(11)
+    vocabulary = ["".join(rng.choice("abcdefghij") for _ in range(4)) for _ in range(700)]
+    words = lambda n: [rng.choice(vocabulary) for _ in range(n)]
+    items = [(i, words(rng.randrange(30, 110))) for i in range(12)]
+    docs = []
+    for i in range(120):
+        w = list(items[i % 12][1])
+        if i % 3 == 0:
+            at = rng.randrange(10, len(w) - 10)
+            w = w[at:] + w[:at]
+        for _ in range(rng.randrange(0, max(1, len(w) // 22))):
+            at = rng.randrange(len(w))
+            w[at : at + rng.randrange(2)] = words(rng.randrange(2))
+        if i % 5 == 0:
+            w = w[: len(w) - rng.randrange(12)]  # the document ends inside the item
+        docs.append((i, words(rng.randrange(40)) + w + (words(rng.randrange(40)) if i % 5 else [])))
+    docs += [(1000, docs[0][1]), (1000, words(50) + items[1][1]), (1000, items[1][1] + words(5))]
+    expected, near = {}, 0
+    grams = lambda x: [tuple(x[j : j + 5]) for j in range(len(x) - 4)]
+    for d, w in docs:
+        h = grams(w)
+        for i, v in items:
+            a, m = Counter(grams(v)), len(v) - 4
+            if not set(h) & set(a):
+                continue
+            for start in range(len(h)):
+                b = Counter(h[start : start + m])
+                s = sum((a & b).values()) / sum((a | b).values())
+                if s >= 0.8 and s > expected.get((d, i), 0):
+                    expected[d, i] = s
+    frame = spark.createDataFrame([(d, " ".join(w)) for d, w in docs], "doc_id long, text string").repartition(4)
+    found = decontamination.matches(frame, spark.createDataFrame([(i, " ".join(v)) for i, v in items], "item_id long, text string")).collect()
+    assert {(r.doc_id, r.item_id): round(r.similarity, 9) for r in found} == {k: round(v, 9) for k, v in expected.items()} and len(found) == len(expected)
+    assert len(expected) > 80 and sum(s < 0.9 for s in expected.values()) > 15
+
+
+def test_leak_of_swapped_blocks(spark):
+    a, b = [f"a{i}" for i in range(60)], [f"b{i}" for i in range(40)]
+    docs = spark.createDataFrame([(1, " ".join(["x"] * 30 + b + a + ["y"] * 9)), (2, " ".join(a + b)), (3, " ".join(a))], "doc_id long, text string")
+    found = {r.doc_id: r for r in decontamination.matches(docs, spark.createDataFrame([(7, " ".join(a + b))], "item_id long, text string")).collect()}
+    assert set(found) == {1, 2} and found[1].start == 30 and round(found[1].similarity, 2) == 0.92 and found[2].similarity == 1
+
+
 # --- classifiers ------------------------------------------------------------------------------------
 
 

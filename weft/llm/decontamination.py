@@ -8,9 +8,10 @@ at most two bits, so items are entered under every block value within two bits a
 finds every fingerprint within the radius.  Candidates are verified by the weighted Jaccard
 similarity of the shingles (sum of smaller counts over sum of greater counts).
 
-A window can only reach the similarity when it shares a shingle with the item, so windows are
-laid where a shared shingle puts the item's start; no other window could be a match at its best
-alignment.  DataFrame functions only.
+Which windows get a fingerprint: a window of similarity 0.8 or more holds at least 0.8 times as many
+shingles of items of its size as the item has (what both share is no more than what the window has
+of it).  Every window that holds so many is laid, at whatever place; one that holds fewer cannot be
+a match, so passing over it loses nothing.  DataFrame functions only.
 """
 
 from __future__ import annotations
@@ -65,28 +66,49 @@ def block_values(print_: Column) -> Column:
     return F.transform(F.sequence(F.lit(0), F.lit(BLOCKS - 1)), lambda b: F.call_function("shiftrightunsigned", print_, b * BITS).bitwiseAND(F.lit((1 << BITS) - 1).cast("long")))
 
 
-def _start(p: str, q: str) -> Column:
-    return F.greatest(F.col(p) - F.col(q), F.lit(0)).alias("start")
+_ROW = ["doc", "tid", "h"]
 
 
-def _windows_in_place(hashed: DataFrame, anchors: DataFrame, small, rows: int) -> DataFrame:
-    """(doc, h, n, start): windows of (doc, h), found without moving the documents.
+def _hits_in_place(hashed: DataFrame, anchors: DataFrame, small) -> DataFrame:
+    """(doc, tid, h, n, at): ascending places of the shingles that items of ``n`` words have, found without moving the documents.
 
-    The benchmark's shingles, LITERALS at most, are part of the plan; positions that don't have one
+    The benchmark's shingles, LITERALS at most, are part of the plan; documents without any of them
     are passed over inside the scan.
     """
-    wanted = [r.g for r in anchors.select("g").distinct().collect()]
-    at = F.filter(F.sequence(F.lit(0), F.size("h") - 1), lambda i: F.get("h", i).isin(wanted)) if wanted else F.array().cast("array<int>")
-    hit = hashed.where(F.size("h") > 0).select("doc", "h", once(at).alias("at"))
-    each = hit.select("doc", "h", F.explode("at").alias("p")).withColumn("g", F.get("h", F.col("p")))
-    return each.join(F.broadcast(anchors), "g").select("doc", "h", "n", _start("p", "q")).dropDuplicates(["doc", "n", "start"])
+    by_size: dict[int, list[int]] = {}
+    for r in anchors.select("n", "g").distinct().collect():
+        by_size.setdefault(r.n, []).append(r.g)
+    if not by_size:
+        return hashed.select(*_ROW, F.lit(0).alias("n"), F.array().cast("array<int>").alias("at")).limit(0)
+    among = lambda places, wanted: F.filter(places, lambda i: F.get("h", i).isin(wanted))
+    every = sorted({g for own in by_size.values() for g in own})
+    hit = hashed.where(F.size("h") > 0).select(*_ROW, once(among(F.sequence(F.lit(0), F.size("h") - 1), every)).alias("at")).where(F.size("at") > 0)
+    sized = F.array(*[F.struct(F.lit(n).alias("n"), among("at", sorted(own)).alias("at")) for n, own in sorted(by_size.items())])
+    return hit.select(*_ROW, F.explode(F.filter(sized, lambda x: F.size(x["at"]) > 0)).alias("x")).select(*_ROW, "x.n", "x.at")
+
+
+def _hits_by_join(hashed: DataFrame, anchors: DataFrame, small) -> DataFrame:
+    """The same for a benchmark of any size: shingles meet in a join, then places their documents in another."""
+    each = hashed.select("doc", "tid", F.posexplode("h").alias("p", "g"))
+    found = each.join(small(anchors.select("n", "g").distinct()), "g").groupBy("doc", "tid", "n").agg(F.array_sort(F.collect_set("p")).alias("at"))
+    return hashed.dropDuplicates(["doc", "tid"]).join(found, ["doc", "tid"]).select(*_ROW, "n", "at")
 
 
-def _windows_by_join(hashed: DataFrame, anchors: DataFrame, small, rows: int) -> DataFrame:
-    """The same for a benchmark of any size: shingles meet in a join, then places their documents in another."""
-    each = hashed.select("doc", F.posexplode("h").alias("p", "g"))
-    found = each.join(small(anchors, rows), "g").select("doc", "n", _start("p", "q")).distinct()
-    return hashed.join(found.groupBy("doc").agg(F.collect_list(F.struct("n", "start")).alias("x")), "doc").select("doc", "h", F.explode("x").alias("x")).select("doc", "h", "x.n", "x.start")
+def windows_of(hits: DataFrame, k: int, percent: int) -> DataFrame:
+    """(doc, tid, n, k, start, h): each window of ``n`` words that holds enough of the places ``at``, once.
+
+    A window is made from the first of the places that it holds: it starts after the place before
+    and early enough to be reached by the last of the places it needs.
+    """
+    shingles = F.col("n") - k + 1
+    need = F.ceil(shingles * percent / 100).cast("int")
+    enough = F.transform("at", lambda p, j: F.when(F.get("at", j + need - 1) - shingles + 1 <= p, j))
+    first = F.filter(enough, lambda j: j.isNotNull())
+    begin = lambda j: F.greatest(F.coalesce(F.get("at", j - 1) + 1, F.lit(0)), F.get("at", j + need - 1) - shingles + 1, F.lit(0))
+    laid = F.flatten(F.transform(first, lambda j: F.sequence(begin(j), F.get("at", j))))
+    each = hits.select(*_ROW, "n", once(laid).alias("laid")).where(F.size("laid") > 0)
+    pieces = F.transform("laid", lambda s: F.struct(s.alias("start"), F.slice("h", s + 1, F.col("n") - k + 1).alias("h")))
+    return each.select("doc", "tid", "n", F.explode(pieces).alias("x")).select("doc", "tid", "n", F.lit(k).alias("k"), "x.start", "x.h")
 
 
 def matches(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text", size: int = SIZE, percent: int = PERCENT, name: str = "decontamination") -> DataFrame:
@@ -116,23 +138,22 @@ def matches(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str =
     small = lambda frame, rows: F.broadcast(frame) if rows <= BROADCAST_ROWS else frame
 
     texts = docs.select(F.col(key).alias("doc"), F.col(text).alias("text")).where("doc is not null")
-    own = texts.select("doc", once(words_of(F.col("text"))).alias("w"))
-    anchors = known.select("k", "n", F.posexplode("h").alias("q", "g")).distinct()
-    laid = _windows_in_place if bound[0] <= LITERALS else _windows_by_join
+    own = texts.select("doc", F.xxhash64("text").alias("tid"), once(words_of(F.col("text"))).alias("w"))
+    anchors = known.select("k", "n", F.explode("h").alias("g")).distinct()
+    hits = _hits_in_place if bound[0] <= LITERALS else _hits_by_join
     pieces = None
     for k in sorted(sizes) or [size]:
-        hashed = own.select("doc", once(shingles(F.col("w"), k)).alias("h"))
-        found = laid(hashed, anchors.where(F.col("k") == k), small, bound[0])
-        cut = found.select("doc", F.lit(k).alias("k"), "n", "start", F.expr(f"slice(h, start + 1, n - {k} + 1)").alias("h")).where(F.size("h") > 0)
+        hashed = own.select("doc", "tid", once(shingles(F.col("w"), k)).alias("h"))
+        cut = windows_of(hits(hashed, anchors.where(F.col("k") == k), lambda frame: small(frame, bound[0])), k, percent)
         pieces = cut if pieces is None else pieces.union(cut)
-    windows = work.keep(pieces.distinct().withColumn("print", fingerprint(F.col("h"))), "windows")
+    windows = work.keep(pieces.withColumn("print", fingerprint(F.col("h"))), "windows")
 
     flips = [0] + [sum(1 << b for b in chosen) for r in range(1, FLIPS + 1) for chosen in combinations(range(BITS), r)]
     entered = known.select("item", "n", "print", "h", F.posexplode(block_values(F.col("print"))).alias("block", "value"))
     entered = entered.select("item", "n", F.col("print").alias("item_print"), F.col("h").alias("item_h"), "block", F.explode(F.transform(F.array(*[F.lit(x).cast("long") for x in flips]), lambda x: x.bitwiseXOR(F.col("value")))).alias("value"))
-    looked = windows.select("doc", "n", "start", "print", "h", F.posexplode(block_values(F.col("print"))).alias("block", "value"))
+    looked = windows.select("doc", "tid", "n", "start", "print", "h", F.posexplode(block_values(F.col("print"))).alias("block", "value"))
     met = looked.join(small(entered, bound[1] * BLOCKS * len(flips)), ["n", "block", "value"])
-    near = met.where(F.bit_count(F.col("print").bitwiseXOR(F.col("item_print"))) <= RADIUS).dropDuplicates(["doc", "start", "n", "item"])
+    near = met.where(F.bit_count(F.col("print").bitwiseXOR(F.col("item_print"))) <= RADIUS).dropDuplicates(["doc", "tid", "start", "n", "item"])
     both = F.size(F.array_intersect(numbered(F.col("h")), numbered(F.col("item_h"))))
     either = F.size("h") + F.size("item_h") - both
     judged = near.select("doc", "item", "start", "n", both.alias("both"), either.alias("either")).where(F.col("both") * 100 >= F.col("either") * percent)
@@ -153,7 +174,7 @@ d AS (SELECT doc_id, list_filter(regexp_split_to_array(lower(coalesce(text, ''))
 e AS (SELECT doc_id, k, list_transform(range(1, len(w) - k + 2), lambda x: array_to_string(w[x:x + k - 1], ' ')) AS h FROM d, (SELECT DISTINCT k FROM j) WHERE len(w) >= k),
 p AS (SELECT doc_id, k, unnest(h) AS g, generate_subscripts(h, 1) - 1 AS p FROM e),
 q AS (SELECT item_id, n, k, unnest(h) AS g, generate_subscripts(h, 1) - 1 AS q FROM j),
-s AS (SELECT DISTINCT doc_id, item_id, n, p.k AS k, greatest(p - q, 0) AS start FROM p JOIN q ON p.g = q.g AND p.k = q.k),
+s AS (SELECT DISTINCT doc_id, item_id, n, p.k AS k, unnest(range(greatest(p - (n - p.k), 0), p + 1)) AS start FROM p JOIN q ON p.g = q.g AND p.k = q.k),
 x AS (SELECT s.*, unnest(e.h[s.start + 1:s.start + s.n - s.k + 1]) AS g FROM s JOIN e USING (doc_id, k)),
 c AS (SELECT doc_id, item_id, n, k, start, g, count(*) AS c FROM x GROUP BY ALL),
 t AS (SELECT doc_id, item_id, n, k, start, sum(c) AS size FROM c GROUP BY ALL),
