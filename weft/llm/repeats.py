@@ -6,8 +6,9 @@ places.  Suffixes whose first words occur once drop out.  The others carry what
 far as a passage that holds them can reach, and equal surroundings become one suffix of the
 earliest document.  Suffixes are then put, by the words to the right and by the words to the left,
 in groups that share half a passage on that side (every passage shares half on one side);
-within a group every window of a passage's length is compared with those of all earlier documents.  Of two equal passages the one in the document with the smaller key
-stays, so no content is lost altogether.
+within a group every window of a passage's length is compared with those of all earlier documents.
+Of two equal passages the one in the document with the smaller key stays, so no content is lost
+altogether.
 
 Words are runs of other than ASCII white space, A-Z lower-cased; only repeats across documents
 count.
@@ -210,16 +211,19 @@ def find(docs: DataFrame, key: str = "doc_id", text: str = "text", name: str = "
     """(key, start, end, of) for each maximal run of words that repeats passages of earlier documents.
 
     Words ``start`` to ``end`` - 1 of the document belong to passages of ``PASSAGE`` words or more that
-    also stand in a document with a smaller key; ``of`` is the smallest such key.  Texts of fewer words, null texts and rows with a null key have no runs; rows that repeat a key are one
-    document to each other.  No rows: no runs.  Other columns are not read.
+    also stand in a document with a smaller key; ``of`` is the smallest such key.  Texts of fewer
+    words, null texts and rows with a null key have no runs; rows that repeat a key are one document
+    to each other.  No rows: no runs.  Other columns are not read.
     """
     work = Workspace(docs.sparkSession, name)
     own = docs.select(F.col(key).cast("long").alias("doc"), F.col(text).alias("text")).where("doc is not null and text is not null")
     suffixes = work.keep(_suffixes(own), "suffixes")
     several = suffixes.groupBy("name").agg(F.min("doc").alias("a"), F.max("doc").alias("b")).where("a < b").select("name")
-    ats = suffixes.join(several, "name", "left_semi").select("doc", "at").distinct().groupBy("doc").agg(F.collect_list("at").alias("ats"))
+    # a table of its own, so that both sides of the join are plain exchanges and a very common name is split at run time
+    several = work.keep(several, "names")
+    ats = suffixes.join(several, "name", "left_semi").groupBy("doc").agg(F.collect_set("at").alias("ats"))
     met = work.keep(_surroundings(own.join(ats, "doc")), "surroundings")
-    work.drop(suffixes)
+    work.drop(suffixes, several)
 
     # equal surroundings: all but the earliest document repeat the whole of them
     classes = work.keep(met.groupBy("name", "right", "left").agg(F.min("doc").alias("doc"), F.min_by("at", "doc").alias("at"), F.max("doc").alias("last"), F.count("*").alias("n")), "classes")
@@ -286,12 +290,14 @@ def remove(docs: DataFrame, runs: DataFrame, key: str = "doc_id", text: str = "t
     """``docs`` with the runs (key, start, end) cut out of its texts; columns and rows as they are.
 
     Rows without runs, null texts and null keys stay as they are; a text that is all runs becomes
-    empty.
+    empty; rows that repeat a key are cut alike.  Other columns stay, whatever their names.
     """
-    listed = runs.groupBy(F.col(key).alias("_run_key")).agg(F.sort_array(F.collect_list(F.struct("start", "end"))).alias("_runs"))
-    both = docs.join(listed, F.col(key) == F.col("_run_key"), "left").drop("_run_key")
     names = docs.columns
     place, last = names.index(text), len(names)
+    # columns are numbered while runs are joined, so that no name of theirs can clash
+    plain = docs.toDF(*[f"c{i}" for i in range(last)])
+    listed = runs.groupBy(F.col(key).alias("of")).agg(F.sort_array(F.collect_list(F.struct("start", "end"))).alias("runs"))
+    both = plain.join(listed, F.col(f"c{names.index(key)}") == F.col("of"), "left").drop("of")
 
     def run(batches):
         for batch in parts(batches):
