@@ -24,7 +24,8 @@ def components(links: DataFrame, work: Workspace) -> DataFrame:
     now = work.keep(tidy, "links")
     while True:
         both = now.select(F.col("hi").alias("u"), F.col("lo").alias("v")).union(now.select(F.col("lo").alias("u"), F.col("hi").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
+        # a table of its own, so that both sides of the join are plain exchanges and a hub is split at run time
+        least = work.keep(both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m")), "least")
         large = both.join(least, "u").where("v > u").select(F.col("v").alias("hi"), F.col("m").alias("lo")).where("hi <> lo").distinct()
         middle = work.keep(large, "large")
         down = middle.groupBy("hi").agg(F.min("lo").alias("m"))
@@ -40,7 +41,7 @@ def components(links: DataFrame, work: Workspace) -> DataFrame:
         parents = after.groupBy("hi").agg(F.count("*").alias("n"))
         several = parents.where("n > 1").limit(1).count()
         nested = 0 if several else after.select("lo").distinct().join(after.select(F.col("hi").alias("lo")).distinct(), "lo", "left_semi").limit(1).count()
-        work.drop(now, middle)
+        work.drop(now, least, middle)
         now = after
         if not several and not nested:
             return now.select(F.col("hi").alias("node"), F.col("lo").alias("root")).union(now.select(F.col("lo").alias("node"), F.col("lo").alias("root")).distinct())

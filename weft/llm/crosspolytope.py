@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import hashlib
 import math
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -23,13 +24,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import components
-from .shared import Workspace, table
+from .shared import Workspace, table, work_alone
 
 MISS = 1e-5
 #: Vectors of one bucket that meet in one group (from each of two blocks).
 BLOCK = 1000
 #: Vectors that a bucket holds on average, at most, before a table joins one more hash.
 LOAD = 64
+#: Components of vectors that go through the transform at once.
+HELD = 1 << 18
 SEED = 7
 
 
@@ -87,9 +90,14 @@ def share_found(width: int, joined: int, cosine: float, pairs: int = 4000) -> fl
     return float((x[:, :, :, None] == y[:, :, None, :]).any(axis=(2, 3)).mean())
 
 
+def padded(dimension: int) -> int:
+    """Width of the transform that a vector of this length goes through."""
+    return max(2, 1 << max(0, dimension - 1).bit_length())
+
+
 def layout(count: int, dimension: int, cosine: float) -> tuple[int, int, int]:
     """(padded width, hashes joined in a table, tables)."""
-    width = max(2, 1 << max(0, dimension - 1).bit_length())
+    width = padded(dimension)
     joined = 1
     while (2 * width) ** joined * LOAD < count and (2 * width) ** (joined + 1) < 1 << 52:
         joined += 1
@@ -124,6 +132,7 @@ def _classes(rows: DataFrame, work: Workspace) -> tuple[DataFrame, DataFrame]:
 
 def _compare(cosine: float):
     def compare(group: pa.Table) -> pa.Table:
+        work_alone()
         ids, copies, side = (group[c].to_numpy() for c in ("id", "copies", "side"))
         here = group["key"][0].as_py()
         x = np.stack([unit(v) for v in group["raw"].to_pylist()])
@@ -172,21 +181,32 @@ def near_duplicates(rows: DataFrame, key: str = "vec_id", vector: str = "embeddi
     """
     work = Workspace(rows.sparkSession, name)
     read, classes = _classes(rows.select(F.col(key).cast("long").alias("id"), F.col(vector).cast("array<double>").alias("v")), work)
-    count, most = classes.agg(F.count("*"), F.max(F.length("raw") / 8)).first()
-    width, joined, tables = layout(count, int(most or 1), cosine)
-    flips = signs(joined * tables, width)
+    # vectors of each padded width have tables of their own: no long vector widens the others
+    counts: Counter = Counter()
+    for r in classes.groupBy((F.length("raw") / 8).cast("int").alias("d")).count().groupBy(F.ceil(F.log2("d")).alias("power")).agg(F.sum("count").alias("n")).collect():  # some 30 rows at most
+        counts[padded(1 << r.power)] += r.n
+    plans = {width: layout(n, width, cosine)[1:] for width, n in counts.items()}
 
     def place(batches):
+        work_alone()
+        flips = {width: signs(joined * tables, width) for width, (joined, tables) in plans.items()}
         for batch in batches:
             raws = batch.column(1).to_pylist()
             for at in range(0, len(raws), 2000):
                 part = raws[at : at + 2000]
-                x = np.zeros((len(part), width))
-                for i, raw in enumerate(part):
-                    v = unit(raw)
-                    x[i, : len(v)] = v
-                keys = bucket_keys(x, flips, joined).reshape(len(part), -1)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(part)), pa.array(list(keys), pa.list_(pa.int64()))], names=["id", "keys"])
+                widths = np.array([padded(len(raw) // 8) for raw in part])
+                keys: list = [None] * len(part)
+                for width in np.unique(widths).tolist():
+                    own = np.flatnonzero(widths == width).tolist()
+                    step = max(1, HELD // width)
+                    for chosen in (own[i : i + step] for i in range(0, len(own), step)):
+                        x = np.zeros((len(chosen), width))
+                        for i, row in enumerate(chosen):
+                            v = unit(part[row])
+                            x[i, : len(v)] = v
+                        for row, found in zip(chosen, bucket_keys(x, flips[width], plans[width][0]).reshape(len(chosen), -1)):
+                            keys[row] = found
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(part)), pa.array(keys, pa.list_(pa.int64()))], names=["id", "keys"])
 
     placed = work.keep(classes.select(F.col("rep").alias("id"), "raw").mapInArrow(place, "id long, keys array<long>"), "placed")
     vectors = classes.select(F.col("rep").alias("id"), "copies", "raw", F.length("raw").alias("d")).join(placed, "id")
