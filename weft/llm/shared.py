@@ -10,6 +10,7 @@ import atexit
 import contextlib
 import ctypes
 import uuid
+from functools import cache
 
 import numpy as np
 import xxhash
@@ -103,7 +104,7 @@ class Workspace:
 
 
 class one_thread:
-    """Numpy's linear algebra on one thread, as a context or for the rest of a worker process.
+    """Numpy's linear algebra on one thread, as a context.
 
     A task has one core; on small matrices the library's threads mostly wait for each other, and burn
     the cores of other tasks meanwhile.  Does nothing where the library isn't the usual one.
@@ -128,6 +129,12 @@ class one_thread:
             put(before)
 
 
+@cache
+def work_alone() -> one_thread:
+    """One thread for the rest of this worker process."""
+    return one_thread()
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     """Bijective 64-bit finaliser, elementwise on uint64."""
     x = (x ^ (x >> np.uint64(30))) * _M2
