@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .labelled import judged, sample, sigmoid
-from .shared import one_thread, table, texts_as_bytes
+from .shared import one_thread, table, texts_as_bytes, work_alone
 
 WORDS, PREFIXES, PREFIX_BYTES = 1 << 15, 1 << 13, 5
 DIMENSION, FILTERS, WIDTHS = 16, 16, (1, 2, 3)
@@ -216,13 +216,24 @@ def _threshold(raw: np.ndarray, y: np.ndarray) -> float:
 
 
 def fit(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Network | None:
-    """A trained and calibrated network; None where a class has no usable row."""
-    rows = sample(docs, labels, "toxic", per_class).toPandas().sort_values(["doc_id", "text"], kind="stable")
+    """A trained and calibrated network; None where a class has no usable row.
+
+    What comes to the driver are the words' buckets of at most ``per_class`` rows of each class.
+    """
+    chosen = sample(docs, labels, "toxic", per_class).select("doc_id", "y", "text")
+
+    def run(batches):
+        for batch in batches:
+            both = [read_text(t) for t in texts_as_bytes(batch.column(2))]
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), batch.column(1), pa.array([x for _, x in both], pa.int32()), pa.array([t.tobytes() for t, _ in both], pa.binary())], names=["doc_id", "y", "language", "words"]
+            )
+
+    rows = chosen.mapInArrow(run, f"doc_id {dict(docs.dtypes)['doc_id']}, y int, language int, words binary").toPandas().sort_values(["doc_id", "words"], kind="stable")
     y = rows["y"].to_numpy(np.float64)
     if not len(y) or y.min() == y.max():
         return None
-    both = [read_text(t.encode() if t else None) for t in rows["text"]]
-    texts, languages = [t for t, _ in both], np.array([x for _, x in both])
+    texts, languages = [np.frombuffer(w, np.int32).reshape(-1, 2) for w in rows["words"]], rows["language"].to_numpy()
     aside = np.array([xxhash.xxh3_64_intdigest(str(d)) % 4 == 0 for d in rows["doc_id"]])
     if min(y[aside].sum(), (1 - y[aside]).sum()) < 5:
         aside[:] = False  # too few rows to set some aside
@@ -245,7 +256,7 @@ def score(docs: DataFrame, network: Network | None, key: str = "doc_id", text: s
     shared = docs.sparkSession.sparkContext.broadcast(network)
 
     def run(batches):
-        one_thread()
+        work_alone()
         own = shared.value
         for batch in batches:
             for at in range(0, batch.num_rows, 1000):
@@ -264,7 +275,7 @@ def keep_clean(docs: DataFrame, network: Network | None, text: str = "text", thr
     place = docs.columns.index(text)
 
     def run(batches):
-        one_thread()
+        work_alone()
         own = shared.value
         for batch in batches:
             for at in range(0, batch.num_rows, 1000):
