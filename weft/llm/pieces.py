@@ -147,6 +147,7 @@ class PrefixEncoder:
         return known
 
     def encode(self, piece: bytes) -> list[int]:
+        """Ids of a piece; one that no tokens make up raises."""
         whole = self.v.ids.get(piece)
         if whole is not None:
             return [whole]
@@ -157,8 +158,10 @@ class PrefixEncoder:
             end += 1
             if last[end] < 0:
                 start = end - length
-                if start == 0 or self.compatible(last[start], token):
+                if start == 0 or last[start] >= 0 and self.compatible(last[start], token):
                     last[end], size[end] = token, length
+        if last[n] < 0:
+            raise ValueError(f"the vocabulary has no tokens for the piece {piece!r}")
         ids = []
         while n:
             ids.append(last[n])

@@ -28,6 +28,8 @@ STANDARD_RULES = [
 
 #: A rule table of up to so many rows is sent to every executor; a larger one is joined by a shuffle.
 BROADCAST_RULES = 200_000
+#: Lots that rows without a host are spread over.
+LOTS = 256
 
 
 def host_and_path(url: Column) -> tuple[Column, Column]:
@@ -86,6 +88,9 @@ def judge(pages: DataFrame, rules: DataFrame, key: str = "page_id", url: str = "
     if count <= BROADCAST_RULES:
         known = F.broadcast(known)
     # a URL's own number ties its expressions together again: equal rows share one outcome, so (host, path) serves
+    # rows without a host, which may be many, are spread over lots
+    lot = F.when(F.col("_host") == "", F.pmod(F.xxhash64("_key"), F.lit(LOTS))).otherwise(F.lit(0).cast("long"))
+    rows, lots = rows.withColumn("_lot", lot), F.when(F.col("_host") == "", F.sequence(F.lit(0).cast("long"), F.lit(LOTS - 1).cast("long"))).otherwise(F.array(F.lit(0).cast("long")))
     distinct = rows.select("_host", "_path").distinct()
     made = distinct.select(
         "_host", "_path", F.explode(expressions(F.col("_host"), F.col("_path"), labels or 1, longest or 0, odd or [])).alias("_text")
@@ -97,7 +102,8 @@ def judge(pages: DataFrame, rules: DataFrame, key: str = "page_id", url: str = "
         .groupBy("_host", "_path")
         .agg(F.max(F.struct(F.length("_rule").alias("n"), "_rule", "rule_verdict")).alias("_best"))
     )
-    return rows.join(best, ["_host", "_path"], "left").select(
+    best = best.select("_host", "_path", F.explode(lots).alias("_lot"), "_best")
+    return rows.join(best, ["_host", "_path", "_lot"], "left").select(
         F.col("_key").alias(key),
         F.col("_host").alias("host"),
         F.col("_path").alias("path"),
@@ -108,7 +114,8 @@ def judge(pages: DataFrame, rules: DataFrame, key: str = "page_id", url: str = "
 
 def op4_url_filter(spark, sf_dir: str) -> DataFrame:
     """Verdict of the standard rules on every URL of ``pages``."""
-    rules = spark.createDataFrame(STANDARD_RULES, "host string, path string, verdict string")
+    values = ", ".join(f"('{host}', '{path}', '{verdict}')" for host, path, verdict in STANDARD_RULES)
+    rules = spark.sql(f"SELECT * FROM VALUES {values} AS rules(host, path, verdict)")
     return judge(table(spark, sf_dir, "pages", "page_id", "url"), rules)
 
 
