@@ -1,7 +1,8 @@
 """Graph kernels, the word-by-word graph and single schemas against brute force and worked examples."""
 
 import random
-from itertools import combinations, product
+import re
+from itertools import combinations, permutations, product
 
 import pytest
 from hypothesis import given, settings
@@ -182,3 +183,38 @@ def test_declared_and_repeated_symbols():
         S.parse("a b & a")
     assert S.accepts_general(S.parse("a b & a", single=False), ["a", "a", "b"])
     assert not S.accepts_general(S.parse("a b & a", single=False), ["b", "a", "a"])
+
+
+def chains_of(symbols):
+    """Chains of choices over these symbols, all operators."""
+    for arrangement in S.all_schemas(symbols):
+        if all(list(f) == sorted(f) for f in arrangement):
+            for order in permutations(arrangement):
+                for ops in product("1?+*", repeat=len(order)):
+                    yield [(list(f), m) for f, m in zip(order, ops)]
+
+
+def test_comparison_with_chains_equals_enumeration():
+    words = ["".join(w) for n in range(6) for w in product("abc", repeat=n)]
+    some = [*schemas(1), *schemas(2), *list(schemas(3))[::23]]
+    for chain in [*chains_of("ab"), *list(chains_of("abc"))[::5]]:
+        pattern = re.compile("".join("(?:" + "|".join(f) + ")" + ("" if m == "1" else m) for f, m in chain))
+        theirs = {w for w in words if pattern.fullmatch(w)}
+        for s in some:
+            ours = {w for w in words if S.accepts(s, w) == "ok"}
+            assert S.included_in_chain(s, chain) == (ours <= theirs), (s, chain)
+            assert S.chain_included(chain, s) == (theirs <= ours), (s, chain)
+
+
+def test_a_published_row_against_the_chain_tool():
+    """A row in which the learned schema is not the stricter one, though it is said to be."""
+    exact, tool = S.parse("1 3 6 17? 21? 20? 9? 13? 12? & 22"), [(["1"], "1"), (["3"], "1"), (["6"], "1"), (["12", "21"], "?"), (["9", "17", "22"], "+"), (["13", "20"], "?")]
+    assert S.compare_with_chain(exact, tool) == "incomparable" and S.accepts(exact, "1 3 6 17 21 22".split()) == "ok"
+
+
+@settings(max_examples=300, deadline=None)
+@given(WORDS)
+def test_no_edge_of_a_finished_graph_is_in_conflict_with_a_split(words):
+    g = read(*words)
+    assert all(not g._separated(x, y) for x, y in g.edges())
+    assert all(g._path(y, x) is None for x, y in g.edges())

@@ -104,6 +104,20 @@ def compare(a: DataFrame, b: DataFrame) -> DataFrame:
     return left.join(right, "element").mapInPandas(run, "element string, a string, b string, relation string")
 
 
+def compare_chain(schemas: DataFrame, chains: DataFrame) -> DataFrame:
+    """(element, learner, relation) of each schema's language to that of the chain baseline of its element."""
+
+    def run(batches):
+        import pandas as pd
+
+        for batch in batches:
+            rows = [(r.element, r.learner, S.compare_with_chain(_values(r.f), [(list(c["symbols"]), c["mult"]) for c in r.chain])) for r in batch.itertuples(index=False)]
+            yield pd.DataFrame(rows, columns=["element", "learner", "relation"])
+
+    known = chains.select("element", F.col("factors").alias("chain"))
+    return schemas.select("element", "learner", _flat().alias("f")).join(known, "element").mapInPandas(run, "element string, learner string, relation string")
+
+
 def minimality(schemas: DataFrame, graph_rows: DataFrame) -> DataFrame:
     """(element, learner, minimal): no schema of the class fits strictly between the sample and this one."""
 
@@ -199,24 +213,31 @@ def set_ratio(graph_rows: DataFrame) -> DataFrame:
 
 
 def kernel_counters(corpus: DataFrame) -> DataFrame:
-    """(element, words_read, edges, breaks, searches): work of the word-by-word graph, by reading order of word ids."""
-    from ..plans.learn import _order, collapsed
+    """(element, words_read, edges, breaks, searches): work of the word-by-word graph, by reading order of word ids.
+
+    Words are streamed through one graph per element, so no task holds more than a graph.
+    """
+    from ..plans.learn import dealt_words
 
-    key = _order("first_seen")
-    listed = collapsed(corpus).groupBy("element").agg(F.collect_list(F.struct("symbols", "first", "n_words")).alias("read"))
+    columns = ["element", "words_read", "edges", "breaks", "searches"]
 
     def run(batches):
         import pandas as pd
 
         from . import dag
 
+        g, own, read = dag.PrecedenceGraph(), None, 0
         for batch in batches:
-            out = []
-            for r in batch.itertuples(index=False):
-                g = dag.PrecedenceGraph()
-                for w in sorted(r.read, key=key):
-                    g.absorb(list(w["symbols"]))
-                out.append((r.element, len(r.read), len(g.edges()), g.breaks, g.searches))
-            yield pd.DataFrame(out, columns=["element", "words_read", "edges", "breaks", "searches"])
-
-    return listed.mapInPandas(run, "element string, words_read long, edges long, breaks long, searches long")
+            done = []
+            for w in batch.itertuples(index=False):
+                if w.element != own:
+                    if own is not None:
+                        done.append((own, read, len(g.edges()), g.breaks, g.searches))
+                    g, own, read = dag.PrecedenceGraph(), w.element, 0
+                g.absorb(list(w.symbols))
+                read += 1
+            yield pd.DataFrame(done, columns=columns)
+        if own is not None:
+            yield pd.DataFrame([(own, read, len(g.edges()), g.breaks, g.searches)], columns=columns)
+
+    return dealt_words(corpus, "first_seen").mapInPandas(run, "element string, words_read long, edges long, breaks long, searches long")

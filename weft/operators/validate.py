@@ -5,17 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .precedence import profile
-
-#: Schema rows that are sent to every executor at most; more are joined by a shuffle.
-BROADCAST_SCHEMAS = 100_000
-
-
-def small(schemas: DataFrame, limit: int = BROADCAST_SCHEMAS) -> DataFrame:
-    """The schemas, marked for broadcast if there are few enough of them; kept, so that they aren't learned twice."""
-    schemas = schemas.persist()
-    return F.broadcast(schemas) if schemas.limit(limit + 1).count() <= limit else schemas
-
+from .precedence import profile, signatures
 
 def flat(factors: Column) -> Column:
     """Array of (symbol, factor, place, mult) of a schema's factors."""
@@ -37,17 +27,29 @@ def reason(prof: Column, flat_schema: Column) -> Column:
     return F.when(unknown, "unknown_symbol").when(absent | repeated, "count").when(wrong, "order").otherwise("ok")
 
 
+def _judged(profiles: DataFrame, schemas: DataFrame) -> DataFrame:
+    """Profiles with the learner and the reason under each schema of their element.
+
+    One row of schemas per element meets the profiles; which side is sent around, and whether an element
+    that holds most words is split, is decided at run time by the sizes found.
+    """
+    known = schemas.groupBy("element").agg(F.collect_list(F.struct("learner", flat(F.col("factors")).alias("flat"))).alias("known"))
+    met = profiles.join(known, "element", "left").withColumn("s", F.explode_outer("known"))
+    verdict = F.when(F.col("s").isNull(), "no_schema").otherwise(reason(F.col("prof"), F.col("s.flat")))
+    return met.withColumn("learner", F.col("s.learner")).withColumn("reason", verdict).drop("known", "s", "prof")
+
+
 def accepts(words: DataFrame, schemas: DataFrame) -> DataFrame:
     """(element, word_id, learner, accepted, reason) of every word under every schema of its element.
 
-    Words of elements without a schema have none of the result rows.
+    Words of elements without a schema have one row with no learner, not accepted, for ``no_schema``.
     """
-    known = small(schemas.select("element", "learner", flat(F.col("factors")).alias("flat")))
-    judged = profile(words).join(known, "element").select("element", "word_id", "learner", reason(F.col("prof"), F.col("flat")).alias("reason"))
-    return judged.select("element", "word_id", "learner", (F.col("reason") == "ok").alias("accepted"), "reason")
+    return _judged(profile(words), schemas).select("element", "word_id", "learner", (F.col("reason") == "ok").alias("accepted"), "reason")
 
 
 def coverage(words: DataFrame, schemas: DataFrame) -> DataFrame:
-    """(element, learner, words, accepted, coverage)."""
-    out = accepts(words, schemas).groupBy("element", "learner").agg(F.count("*").alias("words"), F.count_if("accepted").alias("accepted"))
+    """(element, learner, words, accepted, coverage); distinct signatures are judged, each for all its words."""
+    judged = _judged(signatures(profile(words)), schemas)
+    accepted = F.sum(F.when(F.col("reason") == "ok", F.col("n_words")).otherwise(0))
+    out = judged.groupBy("element", "learner").agg(F.sum("n_words").alias("words"), accepted.alias("accepted"))
     return out.withColumn("coverage", F.round(F.col("accepted") / F.col("words"), 6))

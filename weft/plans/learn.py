@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from ..functions import schema as S
 from ..operators import dag, graphs, precedence
-from ..types import SCHEMA
+from ..types import SCHEMA, assert_corpus
 
 #: Parts that the tree-merged reading of an element's words is dealt to.
 PARTS = 16
@@ -22,18 +22,36 @@ LEARNERS = ("is", "greedy", "exact", "exact_listed", "fewest")
 
 
 def graph_rows(signed: DataFrame) -> DataFrame:
-    """(element, words, symbols array<struct<symbol, mult>>, conflicts, stable) from signatures, one row per element."""
-    counts = precedence.multiplicities_of(signed)
-    symbols = counts.groupBy("element").agg(F.array_sort(F.collect_list(F.struct("symbol", "mult"))).alias("symbols"))
-    pairs = precedence.directed(precedence.pairs_of(signed))
-    pair = F.struct("x", "y")
-    edges = pairs.groupBy("element").agg(
-        F.array_sort(F.collect_list(F.when(F.col("conflict"), pair))).alias("conflicts"), F.array_sort(F.collect_list(F.when(~F.col("conflict"), pair))).alias("stable")
+    """(element, words, symbols array<struct<symbol, mult>>, conflicts, stable) from signatures, one row per element.
+
+    Signatures are read once: the word itself, its symbols and its pairs are exploded together, merged
+    by one aggregate (unordered pairs with the directions seen) and gathered by element.
+    """
+    none, zero = F.lit(None).cast("string"), F.lit(0)
+    item = lambda kind, x, y, c: F.struct(F.lit(kind).alias("kind"), x.alias("x"), y.alias("y"), c.cast("int").alias("c"))
+    items = F.concat(
+        F.array(item("word", none, none, zero)),
+        F.transform("prof", lambda p: item("symbol", p["s"], none, p["c"])),
+        F.transform(precedence.word_pairs(F.col("prof")), lambda p: item("pair", p["x"], p["y"], zero)),
+    )
+    each = signed.select("element", "n_words", F.explode(items).alias("i")).select("element", "n_words", "i.*")
+    paired = F.col("kind") == "pair"
+    u, v = F.when(paired, F.least("x", "y")).otherwise(F.col("x")), F.when(paired, F.greatest("x", "y"))
+    seen = each.groupBy("element", "kind", u.alias("u"), v.alias("v")).agg(
+        F.sum("n_words").alias("n"), F.min("c").alias("least"), F.max("c").alias("most"), F.bool_or(F.col("x") < F.col("y")).alias("up"), F.bool_or(F.col("x") > F.col("y")).alias("down")
     )
-    words = signed.groupBy("element").agg(F.sum("n_words").alias("words"))
-    none = F.array().cast("array<struct<x:string,y:string>>")
-    joined = words.join(symbols, "element", "left").join(edges, "element", "left")
-    return joined.select("element", "words", F.coalesce("symbols", F.array().cast("array<struct<symbol:string,mult:string>>")).alias("symbols"), F.coalesce("conflicts", none).alias("conflicts"), F.coalesce("stable", none).alias("stable"))
+    of = lambda condition, *columns: F.array_sort(F.collect_list(F.when(condition, F.struct(*columns))))
+    up, both = F.col("up"), F.col("up") & F.col("down")
+    first, second = F.when(up, F.col("u")).otherwise(F.col("v")).alias("x"), F.when(up, F.col("v")).otherwise(F.col("u")).alias("y")
+    gathered = seen.groupBy("element").agg(
+        F.max(F.when(F.col("kind") == "word", F.col("n"))).alias("words"),
+        of(F.col("kind") == "symbol", F.col("u").alias("symbol"), "n", "least", "most").alias("counts"),
+        of((F.col("kind") == "pair") & both, first, second).alias("conflicts"),
+        of((F.col("kind") == "pair") & ~both, first, second).alias("stable"),
+    )
+    mult = lambda c: precedence.mult(F.when(c["n"] < F.col("words"), 0).otherwise(c["least"]), c["most"])
+    symbols = F.transform("counts", lambda c: F.struct(c["symbol"].alias("symbol"), mult(c).alias("mult")))
+    return gathered.select("element", "words", symbols.alias("symbols"), "conflicts", "stable")
 
 
 def _graphs(row) -> tuple[dict[str, str], graphs.Graph, dict[str, set[str]]]:
@@ -46,7 +64,12 @@ def _graphs(row) -> tuple[dict[str, str], graphs.Graph, dict[str, set[str]]]:
 
 
 def _partition(learner: str, conflicts: graphs.Graph) -> tuple[list[list[str]], str]:
-    """Sets of symbols without conflicts, and ``ok`` or ``too_large`` (then the approximate answer)."""
+    """Sets of symbols without conflicts, and a status.
+
+    ``ok``; ``too_large``: the search was given up and the approximate answer stands; ``greedy``: beyond
+    the size for clique exclusion, the greedy sets stand.
+    """
+    auto = "ok" if sum(map(bool, conflicts.values())) <= graphs.MAX_CLIQUE_EXCLUSION else "greedy"
     try:
         if learner == "exact":
             return graphs.iterate_sets(conflicts, graphs.exact_independent_set), "ok"
@@ -56,7 +79,9 @@ def _partition(learner: str, conflicts: graphs.Graph) -> tuple[list[list[str]],
             return graphs.fewest_sets(conflicts), "ok"
     except graphs.TooLarge:
         return graphs.iterate_sets(conflicts, graphs.auto_independent_set), "too_large"
-    return graphs.iterate_sets(conflicts, graphs.greedy_independent_set if learner == "greedy" else graphs.auto_independent_set), "ok"
+    if learner == "greedy":
+        return graphs.iterate_sets(conflicts, graphs.greedy_independent_set), "ok"
+    return graphs.iterate_sets(conflicts, graphs.auto_independent_set), auto
 
 
 def _finished(row, learner: str, chains: list[list[str]], mult: dict[str, str], status: str, repaired: bool) -> tuple:
@@ -101,7 +126,8 @@ def exact(corpus: DataFrame, objective: str = "iterated") -> DataFrame:
 
 
 def learn(corpus: DataFrame, learners: tuple[str, ...] = ("is", "exact")) -> DataFrame:
-    return from_graph_rows(graph_rows(precedence.signatures(precedence.profile(corpus))), learners)
+    """Schemas of a corpus by the learners named; a null element, word or symbol fails the job."""
+    return from_graph_rows(graph_rows(precedence.signatures(precedence.profile(assert_corpus(corpus)))), learners)
 
 
 def learn_rows(long_rows: DataFrame, learners: tuple[str, ...] = ("is", "exact")) -> DataFrame:
@@ -110,10 +136,13 @@ def learn_rows(long_rows: DataFrame, learners: tuple[str, ...] = ("is", "exact")
 
 
 def collapsed(corpus: DataFrame) -> DataFrame:
-    """(element, symbols, first, n_words): distinct words with runs of a symbol made one; ``first`` is the least word_id."""
+    """(element, symbols, first, n_words): distinct words with runs of a symbol made one.
+
+    ``first`` is the least word_id, shorter ids first, so that numbers count up.
+    """
     symbols = F.col("symbols")
     kept = F.filter(symbols, lambda s, i: (i == 0) | (s != F.get(symbols, i - 1)))
-    return corpus.select("element", "word_id", kept.alias("symbols")).groupBy("element", "symbols").agg(F.min("word_id").alias("first"), F.count("*").alias("n_words"))
+    return corpus.select("element", "word_id", kept.alias("symbols")).groupBy("element", "symbols").agg(F.min(F.struct(F.length("word_id"), "word_id"))["word_id"].alias("first"), F.count("*").alias("n_words"))
 
 
 def _order(order: str):
@@ -121,6 +150,13 @@ def _order(order: str):
     return keys[order]
 
 
+def dealt_words(corpus: DataFrame, order: str, parts: int = 1) -> DataFrame:
+    """(element, symbols, first, n_words, part): distinct run-collapsed words, those of an element and part together and in reading order."""
+    dealt = collapsed(corpus).withColumn("part", F.pmod(F.xxhash64("symbols"), F.lit(parts)))
+    ranks = {"first_seen": [F.length("first"), F.col("first")], "lex": [], "freq": [F.desc("n_words")]}[order]
+    return dealt.repartition("element", "part").sortWithinPartitions("element", "part", *ranks, "symbols")
+
+
 def by_precedence_dag(corpus: DataFrame, order: str = "first_seen", merge: str = "none", parts: int = PARTS) -> DataFrame:
     """Heuristic learner: a precedence graph built from neighbouring symbols, word by word.
 
@@ -130,8 +166,9 @@ def by_precedence_dag(corpus: DataFrame, order: str = "first_seen", merge: str =
     more than a graph and those.  ``merge='none'`` streams all words of an element through one graph,
     as the method has it: a word that leaves it as it is can be left out.  ``merge='tree'`` (learner
     ``dag_tree``) deals them to ``parts`` with a graph each, whose kept words need not give that graph.
+    Status ``paths_capped``: the finished graph has too many paths, its connected parts stand for them.
     """
-    words = collapsed(corpus)
+    corpus = assert_corpus(corpus)
     key = _order(order)
     if merge not in ("none", "tree"):
         raise ValueError(f"no such merge: {merge}")
@@ -149,9 +186,7 @@ def by_precedence_dag(corpus: DataFrame, order: str = "first_seen", merge: str =
                     held.append((w.element, w.symbols, w.first, w.n_words))
             yield pd.DataFrame(held, columns=["element", "symbols", "first", "n_words"])
 
-    dealt = words.withColumn("part", F.pmod(F.xxhash64("symbols"), F.lit(parts if merge == "tree" else 1)))
-    ranks = {"first_seen": [F.length("first"), "first"], "lex": [], "freq": [F.desc("n_words")]}[order]
-    dealt = dealt.repartition("element", "part").sortWithinPartitions("element", "part", *ranks, "symbols")
+    dealt = dealt_words(corpus, order, parts if merge == "tree" else 1)
     words = dealt.mapInPandas(keep, "element string, symbols array<string>, first string, n_words long")
     listed = words.groupBy("element").agg(F.collect_list(F.struct("symbols", "first", "n_words")).alias("read"))
     rows = graph_rows(precedence.signatures(precedence.profile(corpus))).join(listed, "element")
@@ -167,7 +202,7 @@ def by_precedence_dag(corpus: DataFrame, order: str = "first_seen", merge: str =
                 for w in sorted(row.read, key=key):
                     g.absorb(list(w["symbols"]))
                 chains, repaired = dag.chains(g, conflicts, after)
-                out.append(_finished(row, "dag" if merge == "none" else "dag_tree", chains, mult, "ok", repaired))
+                out.append(_finished(row, "dag" if merge == "none" else "dag_tree", chains, mult, "paths_capped" if g.capped else "ok", repaired))
             yield pd.DataFrame(out, columns=_COLUMNS)
 
     return rows.mapInPandas(run, SCHEMA)

@@ -33,7 +33,8 @@ def planted(keys: DataFrame, key: str, layouts: dict[str, str] = PLANTED) -> Dat
     for name, text in layouts.items():
         parts = [_copies(key, name, i, j, len(factor), symbol, mult) for i, factor in enumerate(parse(text)) for j, (symbol, mult) in enumerate(factor)]
         symbols = F.transform(F.array_sort(F.flatten(F.array(*parts))), lambda x: x["s"])
-        words = keys.select(F.lit(name).alias("element"), F.col(key).cast("string").alias("word_id"), symbols.alias("symbols"))
+        # worked out once for each word, however often what reads it refers to it
+        words = keys.select(F.lit(name).alias("element"), F.col(key).cast("string").alias("word_id"), F.explode(F.array(symbols)).alias("symbols"))
         out = words if out is None else out.unionByName(words)
     return out
 
@@ -41,14 +42,24 @@ def planted(keys: DataFrame, key: str, layouts: dict[str, str] = PLANTED) -> Dat
 def _copies(key: str, name: str, i: int, j: int, n: int, symbol: str, mult: str) -> Column:
     """Moments of the copies of one symbol: its place in its factor plus a share of a step, in what one draw leaves of the word."""
     low, high = DRAWN[mult]
-    draw = lambda *parts: F.pmod(F.xxhash64(key, F.lit(name), *parts), F.lit(1000)) / 1000.0
+    # the first digits of an MD5 value, which every database can work out
+    draw = lambda *parts: F.conv(F.substring(F.md5(F.concat_ws("/", F.col(key).cast("string"), F.lit(name), *parts)), 1, 7), 16, 10).cast("int") % 1000 / 1000.0
     count = F.lit(low) + F.floor(draw(F.lit(symbol)) * (high - low + 1)).cast("int")
     start = draw(F.lit(f"factor {i}"))
-    moment = lambda k: start + (1 - start) * ((j + (k + draw(F.lit(symbol), k)) / 4.0) / n)
+    moment = lambda k: start + (1 - start) * ((j + (k + draw(F.lit(symbol), k.cast("string"))) / 4.0) / n)
     copies = F.transform(F.sequence(F.lit(0), count - 1), lambda k: F.struct(moment(k).alias("t"), F.lit(j).alias("j"), F.lit(symbol).alias("s")))
     return F.when(count > 0, copies).otherwise(F.array().cast("array<struct<t:double,j:int,s:string>>"))
 
 
+def planted_sql(keys: str, key: str, layouts: dict[str, str] = PLANTED) -> str:
+    """SELECT (element, word_id, symbols) with the words of ``planted``."""
+    rows = ", ".join(f"('{name}', {i}, {j}, {len(factor)}, '{s}', {DRAWN[m][0]}, {DRAWN[m][1]})" for name, text in layouts.items() for i, factor in enumerate(parse(text)) for j, (s, m) in enumerate(factor))
+    draw = lambda part: f"((('0x' || substr(md5({key} || '/' || element || '/' || {part}), 1, 7))::INTEGER % 1000)::DOUBLE / 1000::DOUBLE)"
+    return f"""SELECT element, {key}::VARCHAR AS word_id, list(s ORDER BY b + (1 - b) * ((j + (k + {draw("s || '/' || k")}) / 4::DOUBLE) / n), j, s) AS symbols
+FROM (SELECT *, unnest(range(0, copies)) AS k FROM (SELECT *, low + floor({draw("s")} * (high - low + 1))::INTEGER AS copies, {draw("'factor ' || i")} AS b
+      FROM (SELECT {key} FROM {keys} WHERE {key} IS NOT NULL), (VALUES {rows}) layout(element, i, j, n, s, low, high))) GROUP BY element, {key}"""
+
+
 def from_words(spark: SparkSession, words: Iterable[tuple[str, str]]) -> DataFrame:
     """A corpus of (element, word) with one letter per symbol."""
     rows = [(e, str(i), list(w)) for i, (e, w) in enumerate(words)]

@@ -102,3 +102,14 @@ class StateTable:
     def sink(self):
         """Function for ``foreachBatch``."""
         return lambda frame, batch_id: self.write(frame, batch_id)
+
+
+def learn_stream(words: DataFrame, path: str, learners: tuple[str, ...] = ("exact",)) -> DataFrame:
+    """Schemas learned from a stream of words until its input ends; state and checkpoint are kept under ``path``.
+
+    A run that is started again on the same path goes on where the last one ended.
+    """
+    table = StateTable(words.sparkSession, f"{path.rstrip('/')}/state")
+    run = words.writeStream.foreachBatch(table.sink()).option("checkpointLocation", f"{path.rstrip('/')}/checkpoint").outputMode("append").trigger(availableNow=True).start()
+    run.awaitTermination()
+    return schemas(table.read(), learners)
