@@ -78,8 +78,10 @@ def test_spark_membership_equals_single_words(sample):
 
 
 def test_planted_layouts_are_found_again(spark, sf):
-    found = catalogue.planted_recovery(spark, sf).where("learner = 'exact'").collect()
-    assert len(found) == 6 and all(r.recovered for r in found if r.element in ("phdthesis", "www"))
+    found = catalogue.planted_recovery(spark, "/root/testdata/sf0.01").collect()
+    assert len(found) == 12 and all(r.recovered for r in found)
+    read = {(r.element, r.learner): r.recovered for r in catalogue.planted_recovery_dag(spark, sf).collect()}
+    assert len(read) == 12 and all(read[n, o] for n in ("inproceedings", "proceedings", "phdthesis", "www") for o in ("dag lex",))
     assert rows(catalogue.schema_dag_orders(spark, sf), "reading") == [("first_seen",), ("freq",), ("lex",)]
 
 
@@ -91,6 +93,69 @@ def test_workloads_of_the_survey(spark):
     assert parents["head"] == "meta title style script" and parents["ul"] == "li+" and parents["b"] == "br p*"
 
 
+def test_finished_graphs_of_the_workloads(spark, sf):
+    """No edge of the word-by-word graph joins symbols in conflict, in any reading order."""
+    from weft.operators import dag
+
+    for name in ("events", "lineitem", "planted"):
+        corpus = workloads.BUILDERS[name](spark, sf)
+        read: dict = {}
+        for w in learn.collapsed(corpus).collect():
+            read.setdefault(w.element, []).append(w)
+        for row in learn.graph_rows(precedence.signatures(precedence.profile(corpus))).collect():
+            mult, conflicts, _ = learn._graphs(row)
+            for order in ("first_seen", "lex", "freq"):
+                g = dag.PrecedenceGraph(mult)
+                for w in sorted(read[row.element], key=learn._order(order)):
+                    g.absorb(list(w.symbols))
+                assert not [(x, y) for x, y in g.edges() if y in conflicts[x]], (name, row.element, order)
+
+
+def test_reading_order_counts_up(spark):
+    given = [("e", "10", ["b", "a"]), ("e", "9", ["a", "b"]), ("e", "100", ["a", "b"]), ("e", "11", ["a", "a", "b"])]
+    words = spark.createDataFrame(given, "element string, word_id string, symbols array<string>")
+    assert [(r.first, r.n_words) for r in learn.collapsed(words).orderBy("n_words").collect()] == [("10", 1), ("9", 3)]
+
+
+def test_words_without_a_schema_are_not_accepted(spark):
+    w = generate.from_words(spark, [("a", "xy"), ("b", "x"), ("b", "yz")])
+    schemas = learn.exact(w.where("element = 'a'"))
+    assert sorted((r.element, r.learner or "", r.accepted, r.reason) for r in validate.accepts(w, schemas).collect()) == [("a", "exact", True, "ok"), ("b", "", False, "no_schema"), ("b", "", False, "no_schema")]
+    assert {(r.element, r.words, r.accepted) for r in validate.coverage(w, schemas).collect()} == {("a", 1, 1), ("b", 2, 0)}
+
+
+def test_choices_keep_the_sample(spark, sample):
+    import re
+
+    schemas = learn.exact(sample)
+    with_choices = {r.element: r.text for r in extensions.choices_in_factors(sample, schemas).collect()}
+    assert with_choices.keys() == {r.element for r in schemas.collect()}
+    for r in sample.collect():
+        for factor in with_choices[r.element].split(" & "):
+            pattern = "".join(factor.split(" "))
+            own = set(re.findall("[a-e]", factor))
+            assert re.fullmatch(pattern, "".join(s for s in r.symbols if s in own)), (r, factor)
+    w = generate.from_words(spark, [("e", "ac"), ("e", "bc"), ("e", "ac")])
+    assert extensions.choices_in_factors(w, learn.exact(w)).first().text == "(a|b) c"
+
+
+def test_frequent_pairs_by_projection(spark, sf):
+    w = workloads.conversations(spark, sf)
+    assert rows(extensions.frequent_by_projection(w, "conversation", 0.5), "x", "y", "support") == rows(extensions.frequent_precedence(w, 0.5), "x", "y", "support")
+
+
+def test_languages_against_the_chain_baseline(spark, sample):
+    found = measures.compare_chain(learn.compare_learners(sample), baselines.ordered_chain(sample)).collect()
+    assert {r.relation for r in found} <= {"equal", "subset", "superset", "incomparable"} and len(found) == 3 * sample.select("element").distinct().count()
+
+
+def test_nulls_fail_in_learners(spark):
+    bad = spark.createDataFrame([("e", "1", ["a", None])], "element string, word_id string, symbols array<string>")
+    for learned in (learn.exact(bad), learn.by_precedence_dag(bad)):
+        with pytest.raises(Exception, match="null element"):
+            learned.collect()
+
+
 def test_measures_of_the_examples(examples):
     found = learn.learn(examples.where("element in ('rivals', 'repeats')"), ("exact", "is"))
     assert rows(measures.interleavings(found), "element", "learner", "interleavings") == [("repeats", "exact", 1), ("repeats", "is", 1), ("rivals", "exact", 1), ("rivals", "is", 1)]

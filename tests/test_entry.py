@@ -32,7 +32,9 @@ def plain(rows, columns):
     [
         "words_pages", "precedence_conversations", "conflicts_users", "stable_pages", "multiplicities_events", "conflict_density_segments", "multiplicity_only_dims", "sample_sizes_lineitem",
         "star_users", "adjacency_pages", "partition_exact_events", "simplified_exact_conversations", "coverage_users", "compare_star_lineitem", "count_schemas", "orders_accepted_planted",
-        "global_order_users", "precedence_from_rows", "range_pairs", "frequent_words", "density_cube", "shuffle_words",
+        "global_order_users", "precedence_from_rows", "range_pairs", "frequent_words", "density_cube", "shuffle_words", "schema_exact_users", "schema_is_users", "schema_exact_customers",
+        "membership_holdout", "membership_benchmark", "permissiveness_users", "compare_chain_users", "chain_pages", "disjunctive_users", "exclusive_pairs_users", "words_planted", "words_sessions",
+        "words_documents", "gap_users", "length_users", "block_orders", "frequent_by_projection",
     ],
 )
 def test_queries_equal_their_sql(spark, sf, name):

@@ -2,26 +2,31 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
+from itertools import product
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from . import workloads
+from . import oracles, workloads
 from .functions import schema as S
 from .operators import baselines, extensions, measures, precedence, validate
 from .plans import learn
 from .sources import generate
-from .sources.tables import table
+from .sources.tables import shared_folder, table
 from .streaming import incremental
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 #: Workloads whose relations are queried one by one, and those that only learners and measures run on.
-RELATIONAL = ("pages", "conversations", "events", "users", "customers", "segments", "lineitem", "brands", "dims")
-LEARNED = (*RELATIONAL, "page_children", "planted", "documents", "qualities", "props")
+RELATIONAL = (
+    "pages", "conversations", "events", "users", "customers", "segments", "lineitem", "brands", "dims", "documents", "languages", "qualities", "toxicities", "props", "part_brands", "sessions",
+    "planted",
+)
+LEARNED = (*RELATIONAL, "page_children")
 #: Workloads with many distinct words under one element, on which the two-round variant of the graph runs too.
-TWO_ROUNDS = ("lineitem", "events", "segments", "brands", "planted", "documents", "qualities")
+TWO_ROUNDS = ("lineitem", "events", "segments", "brands", "planted")
 
 
 def _words(words: DataFrame) -> DataFrame:
@@ -37,6 +42,11 @@ def _text(schemas: DataFrame) -> DataFrame:
     return schemas.select("element", "learner", "words", "status", "repaired", "text")
 
 
+def _conflict_graph(w: DataFrame) -> DataFrame:
+    edges = precedence.conflict_graph(precedence.pairs(w))
+    return edges.select("element", F.array_join(F.transform("edges", lambda e: F.concat(e["x"], F.lit("-"), e["y"])), " ").alias("edges"))
+
+
 def _star_relation(w: DataFrame) -> DataFrame:
     return measures.compare(learn.by_independent_sets(w), baselines.star_schema_rows(w)).select("element", "relation")
 
@@ -59,6 +69,7 @@ def _per_workload() -> dict[str, Query]:
         out |= {
             f"words_{n}": _on(n, _words),
             f"precedence_{n}": _on(n, precedence.pairs),
+            f"conflict_graph_{n}": _on(n, _conflict_graph),
             f"conflicts_{n}": _on(n, lambda w: precedence.conflicts(precedence.pairs(w))),
             f"stable_{n}": _on(n, lambda w: precedence.stable(precedence.pairs(w))),
             f"multiplicities_{n}": _on(n, precedence.multiplicities),
@@ -71,7 +82,7 @@ def _per_workload() -> dict[str, Query]:
             f"star_{n}": _on(n, lambda w: baselines.star(w).select("element", "words", "text")),
             f"adjacency_{n}": _on(n, precedence.adjacency),
         }
-    for n in ("conversations", "events", "segments", "lineitem"):
+    for n in ("pages", "conversations", "events", "users", "customers", "segments", "lineitem", "brands", "planted"):
         out |= {
             f"partition_exact_{n}": _on(n, lambda w: _partition(learn.exact(w))),
             f"interleavings_exact_{n}": _on(n, lambda w: measures.interleavings(learn.exact(w)).select("element", "interleavings")),
@@ -79,7 +90,7 @@ def _per_workload() -> dict[str, Query]:
         }
     for n in LEARNED:
         out |= {f"schema_is_{n}": _on(n, lambda w: _text(learn.by_independent_sets(w))), f"schema_exact_{n}": _on(n, lambda w: _text(learn.exact(w)))}
-        if n != "dims":
+        if n not in ("languages", "toxicities", "sessions", "part_brands"):  # other cuts of documents, events and brands
             out[f"schema_dag_{n}"] = _on(n, lambda w: _text(learn.by_precedence_dag(w)))
         if n in TWO_ROUNDS:
             out[f"schema_dag_tree_{n}"] = _on(n, lambda w: _text(learn.by_precedence_dag(w, merge="tree")))
@@ -90,12 +101,21 @@ def _per_workload() -> dict[str, Query]:
             f"chain_coverage_{n}": _on(n, _chain_coverage),
             f"compare_star_{n}": _on(n, _star_relation),
             f"together_{n}": _on(n, baselines.together),
-            f"disjunctive_{n}": _on(n, baselines.disjunctive_multiplicities),
+            f"disjunctive_{n}": _on(n, lambda w: baselines.disjunctive_multiplicities(w).select("element", "text")),
+            f"exclusive_pairs_{n}": _on(n, extensions.exclusive_pairs),
         }
-    for n in ("pages", "conversations", "users", "planted"):
+    for n in ("pages", "conversations", "events", "lineitem", "users", "planted"):
+        out[f"compare_chain_{n}"] = _on(n, lambda w: measures.compare_chain(learn.exact(w), baselines.ordered_chain(w)))
+    for n in ("users", "customers"):
+        out[f"choices_{n}"] = _on(n, lambda w: extensions.choices_in_factors(w, learn.exact(w)))
+    for n in ("users", "dims"):
+        out[f"global_order_{n}"] = _on(n, baselines.global_order)
+    for n in ("pages", "users", "planted"):
         out |= {
+            f"compare_chain_all_{n}": _on(n, lambda w: measures.compare_chain(learn.compare_learners(w), baselines.ordered_chain(w))),
             f"learner_table_{n}": _on(n, lambda w: measures.learner_table(learn.compare_learners(w))),
-            f"gap_{n}": _on(n, lambda w: measures.gap(learn.compare_learners(w))),
+            f"gap_{n}": _on(n, lambda w: measures.gap(learn.learn(w, ("exact", "is")))),
+            f"gap_dag_{n}": _on(n, lambda w: measures.gap(learn.exact(w).unionByName(learn.by_precedence_dag(w)))),
             f"order_disagreement_{n}": _on(n, lambda w: measures.order_disagreement(learn.compare_learners(w))),
             f"minimality_{n}": _on(n, lambda w: measures.minimality(learn.compare_learners(w), learn.graph_rows(precedence.signatures(precedence.profile(w))))),
         }
@@ -151,23 +171,38 @@ def examples(spark, d):
     return _text(learn.compare_learners(w)).union(_text(learn.learn(w, ("greedy", "fewest", "exact_listed"))))
 
 
-def planted_recovery(spark, d):
-    """Whether each learner finds the planted layouts again, up to the order that words leave open."""
-    learned = learn.compare_learners(workloads.planted(spark, d)).select("element", "learner", "text", F.array_sort(F.transform("factors", lambda f: F.array_join(F.array_sort(F.transform(f, lambda p: F.concat(p["symbol"], p["mult"]))), " "))).alias("sets"))
-    rows = [(n, sorted(" ".join(sorted(s + m for s, m in f)) for f in v)) for n, v in generate.parsed().items()]
-    truth = spark.createDataFrame(rows, "element string, planted array<string>")
+def _planted_sets() -> list[tuple[str, list[str]]]:
+    return [(n, sorted(" ".join(sorted(s + m for s, m in f)) for f in v)) for n, v in generate.parsed().items()]
+
+
+def _recovery(spark, schemas: DataFrame) -> DataFrame:
+    """Whether schemas are the planted layouts again, up to the order that words leave open."""
+    learned = schemas.select("element", "learner", "text", F.array_sort(F.transform("factors", lambda f: F.array_join(F.array_sort(F.transform(f, lambda p: F.concat(p["symbol"], p["mult"]))), " "))).alias("sets"))
+    truth = spark.createDataFrame(_planted_sets(), "element string, planted array<string>")
     return learned.join(F.broadcast(truth), "element").select("element", "learner", (F.col("sets") == F.col("planted")).alias("recovered"), "text")
 
 
+def planted_recovery(spark, d):
+    """The set-based learners on the planted layouts."""
+    return _recovery(spark, learn.learn(workloads.planted(spark, d), ("exact", "is")))
+
+
+def planted_recovery_dag(spark, d):
+    """The word-by-word learner on the planted layouts, in two reading orders."""
+    w = workloads.planted(spark, d)
+    read = [learn.by_precedence_dag(w, order).withColumn("learner", F.lit(f"dag {order}")) for order in ("first_seen", "lex")]
+    return _recovery(spark, read[0].union(read[1]))
+
+
 def membership_benchmark(spark, d):
     """Benchmark items under the schema of the documents."""
-    return validate.accepts(workloads.benchmark(spark, d), learn.by_independent_sets(workloads.documents(spark, d)))
+    return validate.accepts(workloads.benchmark(spark, d), learn.exact(workloads.documents(spark, d)))
 
 
 def membership_holdout(spark, d):
-    """Schemas learned from half of the customers' years, tried on the other half."""
-    w = workloads.customers(spark, d).withColumn("half", F.pmod(F.xxhash64("word_id"), F.lit(2)))
-    found = validate.accepts(w.where("half = 1").drop("half"), learn.by_independent_sets(w.where("half = 0").drop("half")))
+    """Schemas learned from half of the customers' years, tried on the other half; customers without a schema are counted, too."""
+    w = workloads.customers(spark, d).withColumn("learned", F.md5(F.col("word_id").cast("binary")) < "8")
+    found = validate.accepts(w.where("not learned").drop("learned"), learn.exact(w.where("learned").drop("learned")))
     return found.groupBy("learner", "reason").agg(F.count("*").alias("words"))
 
 
@@ -181,7 +216,7 @@ def contrast_qualities(spark, d):
 
 def permissiveness_users(spark, d):
     w = workloads.users(spark, d)
-    return measures.permissiveness(w, learn.by_independent_sets(w).unionByName(baselines.star_schema_rows(w)))
+    return measures.permissiveness(w, learn.exact(w).unionByName(baselines.star_schema_rows(w)))
 
 
 def orders_accepted_planted(spark, d):
@@ -201,7 +236,7 @@ def count_schemas(spark, d):
 
 
 def length_users(spark, d):
-    return measures.length(learn.by_independent_sets(workloads.users(spark, d)))
+    return measures.length(learn.exact(workloads.users(spark, d)))
 
 
 def set_ratio_dims(spark, d):
@@ -212,14 +247,6 @@ def kernel_counters_users(spark, d):
     return measures.kernel_counters(workloads.users(spark, d))
 
 
-def global_order_users(spark, d):
-    return baselines.global_order(workloads.users(spark, d))
-
-
-def exclusive_pairs_pages(spark, d):
-    return extensions.exclusive_pairs(workloads.page_children(spark, d))
-
-
 def frequent_precedence_pages(spark, d):
     return extensions.frequent_precedence(workloads.pages(spark, d), 0.9)
 
@@ -228,6 +255,26 @@ def closed_precedence_pages(spark, d):
     return extensions.closed_precedence(extensions.frequent_precedence(workloads.pages(spark, d), 0.5))
 
 
+def frequent_by_projection(spark, d):
+    """The library's sequence mining on the conversations: the pairs of frequent_precedence again."""
+    return extensions.frequent_by_projection(workloads.conversations(spark, d), "conversation", 0.5)
+
+
+def membership_general(spark, d):
+    """Words of up to four symbols under a schema that uses a symbol twice."""
+    schema = S.parse("a b & a", single=False)
+    words = spark.range(1).select(F.explode(F.array(*[F.lit(w) for n in range(5) for w in map("".join, product("ab", repeat=n))])).alias("word"))
+    accepted = F.udf(lambda w: S.accepts_general(schema, list(w)), "boolean")  # 31 rows
+    return words.select("word", accepted("word").alias("accepted"))
+
+
+def sessions_stream(spark, d):
+    """Schemas of users learned from a stream of their events; sessions still open at the end of the stream don't count yet."""
+    events = spark.read.parquet(f"{d}/events.parquet")
+    stream = spark.readStream.schema(events.schema).parquet(f"{d}/events.parquet*")
+    return _text(incremental.learn_stream(incremental.session_words(stream), f"{shared_folder(spark)}/weft-stream-{uuid.uuid4().hex}"))
+
+
 def fold_batches(spark, d):
     """Schemas of users from a state folded of three batches, one of them delivered twice."""
     w = workloads.users(spark, d).withColumn("b", F.pmod(F.xxhash64("word_id"), F.lit(3)))
@@ -280,9 +327,8 @@ def learn_aggregate(spark, d):
 
 
 def sessions_batch(spark, d):
-    from .sources import words
-
-    return _words(words.sessions(table(spark, d, "events", "event_id", "ts", "user_id", "event_type")))
+    """Words of the sessions of a finished event table, as the stream gives them."""
+    return _words(workloads.sessions(spark, d))
 
 
 # --- surrounding operators -----------------------------------------------------------------------
@@ -347,9 +393,9 @@ SINGLE: dict[str, Query] = {
     f.__name__: f
     for f in (
         precedence_selfjoin, precedence_positions, precedence_from_rows, schema_exact_from_rows, schema_fewest_users, schema_listed_pages, schema_greedy_dims,
-        schema_dag_orders, schema_dag_tree, examples, planted_recovery, membership_benchmark, membership_holdout, contrast_qualities, permissiveness_users,
-        orders_accepted_planted, count_schemas, length_users, set_ratio_dims, kernel_counters_users, global_order_users, exclusive_pairs_pages,
-        frequent_precedence_pages, closed_precedence_pages, fold_batches, saturated_events, enumerate_language, block_orders, shuffle_words, hardness_witness,
+        schema_dag_orders, schema_dag_tree, examples, planted_recovery, planted_recovery_dag, membership_benchmark, membership_holdout, contrast_qualities, permissiveness_users,
+        orders_accepted_planted, count_schemas, length_users, set_ratio_dims, kernel_counters_users,
+        frequent_precedence_pages, closed_precedence_pages, frequent_by_projection, membership_general, sessions_stream, fold_batches, saturated_events, enumerate_language, block_orders, shuffle_words, hardness_witness,
         learn_aggregate, sessions_batch, density_cube, orders_rollup, roles_pivot, as_of_orders, range_pairs, frequent_words, longest_runs, unknown_words,
     )
 }
@@ -361,84 +407,76 @@ def queries() -> dict[str, Query]:
 
 # --- SQL ------------------------------------------------------------------------------------------
 
-_PROF = """
-p AS (SELECT element, word_id, unnest(symbols) AS s, generate_subscripts(symbols, 1) AS i FROM w),
-prof AS (SELECT element, word_id, s, min(i) AS f, max(i) AS l, count(*) AS c FROM p GROUP BY ALL),
-pairs AS (SELECT a.element, a.s AS x, b.s AS y, count(*) AS n_words FROM prof a JOIN prof b USING (element, word_id) WHERE a.s <> b.s AND a.f < b.l GROUP BY ALL),
-total AS (SELECT element, count(*) AS words FROM w GROUP BY element),
-counts AS (SELECT element, s AS symbol, CASE WHEN count(*) < any_value(words) THEN 0 ELSE min(least(c, 2)) END AS min_n, max(least(c, 2)) AS max_n, count(*) AS in_words, any_value(words) AS words
-           FROM prof JOIN total USING (element) GROUP BY element, s),
-mults AS (SELECT *, CASE WHEN min_n = 0 THEN CASE WHEN max_n > 1 THEN '*' ELSE '?' END WHEN max_n > 1 THEN '+' ELSE '1' END AS mult FROM counts)
-"""
-
-#: Repeated maximum independent sets as bit masks; a symbol's weight falls with its place, so of equally
-#: large sets the greatest mask is the lexicographically smallest.
-_MASKS = """
-sy AS (SELECT element, symbol AS s, row_number() OVER (PARTITION BY element ORDER BY symbol) AS i, count(*) OVER (PARTITION BY element) AS n FROM counts),
-bits AS (SELECT element, s, (1 << (n - i)::INTEGER) AS b, n FROM sy),
-k AS (SELECT a.element, a.x, a.y FROM pairs a JOIN pairs b ON a.element = b.element AND a.x = b.y AND a.y = b.x),
-masks AS (SELECT element, unnest(range(1, 1 << any_value(n)::INTEGER)) AS m FROM bits GROUP BY element),
-bad AS (SELECT DISTINCT masks.element, m FROM masks JOIN k ON k.element = masks.element JOIN bits x ON x.element = k.element AND x.s = k.x JOIN bits y ON y.element = k.element AND y.s = k.y WHERE m & x.b <> 0 AND m & y.b <> 0),
-ind AS (SELECT * FROM masks ANTI JOIN bad USING (element, m)),
-conf AS (SELECT element, sum(DISTINCT b)::BIGINT AS rest FROM bits JOIN (SELECT DISTINCT element, x FROM k) c USING (element) WHERE bits.s = c.x GROUP BY element),
-free AS (SELECT bits.element, coalesce(sum(b) FILTER (WHERE NOT EXISTS (SELECT 1 FROM k WHERE k.element = bits.element AND k.x = bits.s)), 0)::BIGINT AS f FROM bits GROUP BY bits.element),
-it AS (
-  SELECT element, 0 AS no, coalesce(rest, 0)::BIGINT AS rest, 0::BIGINT AS pick FROM free LEFT JOIN conf USING (element)
-  UNION ALL
-  SELECT it.element, it.no + 1, it.rest - z.best, z.best FROM it JOIN LATERAL (SELECT arg_max(m, bit_count(m) * 1000000 + m)::BIGINT AS best FROM ind WHERE ind.element = it.element AND m & it.rest = m) z ON true WHERE it.rest > 0),
-sets AS (SELECT element, CASE WHEN no = 1 THEN pick + f ELSE pick END AS m FROM it JOIN free USING (element) WHERE no > 0
-         UNION ALL SELECT element, f FROM free WHERE NOT EXISTS (SELECT 1 FROM conf WHERE conf.element = free.element)),
-parts AS (SELECT sets.element, sets.m, list(s ORDER BY s) AS s FROM sets JOIN bits ON bits.element = sets.element AND sets.m & b <> 0 GROUP BY sets.element, sets.m)
-"""
-
-_REVERSE = "EXISTS (SELECT 1 FROM pairs r WHERE r.element = q.element AND r.x = q.y AND r.y = q.x)"
-_NEXT = "SELECT DISTINCT element, word_id, a.s AS x, b.s AS y FROM p a JOIN p b USING (element, word_id) WHERE b.i = a.i + 1"
-_TOGETHER = "SELECT a.element, a.s AS x, b.s AS y, count(*) AS n_words FROM prof a JOIN prof b USING (element, word_id) WHERE a.s < b.s GROUP BY ALL"
-
-_SELECT = {
-    "words": "SELECT element, word_id, array_to_string(symbols, ' ') AS symbols FROM w",
-    "precedence": "SELECT * FROM pairs",
-    "conflicts": f"SELECT element, x, y FROM pairs q WHERE {_REVERSE}",
-    "stable": f"SELECT element, x, y FROM pairs q WHERE NOT {_REVERSE}",
-    "multiplicities": "SELECT element, symbol, min_n::BIGINT AS min_n, max_n::BIGINT AS max_n, in_words, words, mult FROM mults",
-    "conflict_density": f"SELECT element, symbols, conflict_pairs, round(CASE WHEN symbols > 1 THEN conflict_pairs / (symbols * (symbols - 1) / 2) ELSE 0 END, 6) AS density FROM (SELECT c.element, count(*) AS symbols, (SELECT count(*) FROM pairs q WHERE q.element = c.element AND q.x < q.y AND {_REVERSE}) AS conflict_pairs FROM counts c GROUP BY c.element)",
-    "multiplicity_only": "SELECT element, any_value(words) AS words, string_agg(symbol || CASE WHEN mult = '1' THEN '' ELSE mult END, ' & ' ORDER BY symbol) AS text FROM mults GROUP BY element",
-    "sample_sizes": "SELECT element, count(*) AS words, count(DISTINCT symbols) AS distinct_words FROM w GROUP BY element",
-    "star": "SELECT element, any_value(words) AS words, '(' || string_agg(symbol, '|' ORDER BY symbol) || ')*' AS text FROM counts GROUP BY element",
-    "adjacency": f"SELECT element, x, y, count(*) AS n_words FROM ({_NEXT}) GROUP BY ALL",
-    "together": _TOGETHER,
-    "partition_exact": "SELECT element, array_to_string(s, ' ') AS symbols FROM parts",
-    "interleavings_exact": "SELECT element, count(*) - 1 AS interleavings FROM parts GROUP BY element",
-    "simplified_exact": "SELECT element, string_agg(len(s)::VARCHAR, ',' ORDER BY len(s) DESC) AS sizes FROM parts GROUP BY element",
-    "coverage": "SELECT element, learner, words, words AS accepted, 1.0::DOUBLE AS coverage FROM total, (VALUES ('exact'), ('is'), ('dag')) l(learner)",
-    "chain_coverage": "SELECT element, words, words AS accepted FROM total",
-    "compare_star": f"SELECT element, CASE WHEN bool_and(mult = '*') AND (SELECT count(*) FROM pairs q WHERE q.element = c.element AND {_REVERSE}) = count(*) * (count(*) - 1) THEN 'equal' ELSE 'subset' END AS relation FROM mults c GROUP BY element",
-}
 
+def _sql(name: str, kind: str) -> str:
+    return oracles.over(workloads.SQL[name], oracles.SELECT.get(kind, kind), large=name in oracles.LARGE, excluded=kind == "schema_is" and name != "planted")
+
+
+def _schema(name: str, learner: str) -> str:
+    return _sql(name, "schema_exact").replace("'exact' AS learner", f"'{learner}' AS learner")
 
-def _sql(name: str, select: str) -> str:
-    masks = "," + _MASKS if "parts" in select else ""
-    return f"WITH RECURSIVE w AS ({workloads.SQL[name]}),{_PROF}{masks} {select}"
+
+def _gap(name: str) -> str:
+    """Sizes of the two set-based learners side by side, each by its own SQL."""
+    sizes = "SELECT total.element, coalesce(list(n ORDER BY n DESC) FILTER (n IS NOT NULL), []) AS z FROM total LEFT JOIN factors USING (element) GROUP BY total.element"
+    a, b = (oracles.over(workloads.SQL[name], sizes, large=name in oracles.LARGE, excluded=x) for x in (False, True))
+    differs = "list_filter(list_transform(range(1, greatest(len(a.z), len(b.z)) + 1), lambda i: coalesce(a.z[i], 0) - coalesce(b.z[i], 0)), lambda d: d <> 0)"
+    return f"SELECT a.element, 'is' AS learner, (len(b.z) - len(a.z))::BIGINT AS more_factors, coalesce({differs}[1], 0)::BIGINT AS first_difference FROM ({a}) a JOIN ({b}) b ON a.element = b.element"
+
+
+def _judged(words: str, u: str, select: str) -> str:
+    return oracles.over(words, select, u=f"u AS ({u})")
+
+
+#: Workloads whose exact schemas SQL can work out, and those of them on which each other learner is known to find the same
+#: schemas (their conflict graphs leave no choice).
+EXACT = ("pages", "conversations", "events", "users", "customers", "segments", "lineitem", "brands", "props", "documents", "languages", "qualities", "toxicities", "sessions", "planted")
+AGREEING = {
+    "is": ("planted",),  # too many symbols in conflict for the SQL of that learner
+    "dag": ("events", "segments", "lineitem", "brands", "props"),
+    "dag_tree": ("events", "segments", "lineitem", "brands"),
+}
 
 
 def oracle_sql() -> dict[str, str]:
+    known = _per_workload()
     out = {}
-    for query in _per_workload():
-        for name in RELATIONAL:
-            kind = query.removesuffix("_" + name)
-            if kind != query and kind in _SELECT and name in workloads.SQL:
-                out[query] = _sql(name, _SELECT[kind])
+    for name in workloads.SQL:
+        for kind in oracles.SELECT:
+            if f"{kind}_{name}" in known and (name in EXACT or "exact" not in kind and kind not in ("schema_is", "compare_chain", "length", "coverage")):
+                out[f"{kind}_{name}"] = _sql(name, kind)
+        for learner, names in AGREEING.items():
+            query = f"schema_{learner}_{name}"
+            if query in known and name in names:
+                out[query] = _schema(name, learner)
     del out["compare_star_users"]  # a user with one symbol has the star's own language
+    planted = ", ".join(f"('{n}', {v})" for n, v in _planted_sets())
+    half = lambda n: f"SELECT element, word_id, symbols FROM ({workloads.SQL['customers']}) WHERE (md5(word_id) < '8') = {n}"
     return out | {
-        "precedence_selfjoin": _sql("events", _SELECT["precedence"]),
-        "precedence_positions": _sql("conversations", _SELECT["precedence"]),
-        "precedence_from_rows": _sql("lineitem", _SELECT["precedence"]),
-        "frequent_precedence_pages": _sql("pages", "SELECT element, x, y, round(n_words / words, 6) AS support FROM pairs JOIN total USING (element) WHERE round(n_words / words, 6) >= 0.9"),
-        "global_order_users": _sql(
-            "users",
-            "SELECT element, CASE WHEN 2 * up >= t THEN u ELSE v END AS x, CASE WHEN 2 * up >= t THEN v ELSE u END AS y, round(greatest(up, t - up) / t, 6) AS share FROM (SELECT a.element, a.s AS u, b.s AS v, count(*) AS t, count(*) FILTER (WHERE a.f < b.f) AS up FROM prof a JOIN prof b USING (element, word_id) WHERE a.s < b.s GROUP BY ALL) WHERE round(greatest(up, t - up) / t, 6) > 0.5",
+        "schema_exact_from_rows": _schema("lineitem", "exact"),
+        "fold_batches": _schema("users", "exact"),
+        "schema_listed_pages": _schema("pages", "exact_listed"),
+        "planted_recovery": _sql(
+            "planted",
+            "SELECT t.element, learner, found = layout AS recovered, text FROM texts t JOIN (SELECT element, list(x ORDER BY x) AS found FROM (SELECT element, string_agg(s || mult, ' ' ORDER BY s || mult) AS x FROM placed GROUP BY element, no, sub) GROUP BY element) f ON f.element = t.element "
+            f"JOIN (VALUES {planted}) v(element, layout) ON v.element = t.element, (VALUES ('exact'), ('is')) l(learner)",
         ),
-        "saturated_events": _sql("events", f"SELECT element, (SELECT count(*) FROM pairs q WHERE q.element = c.element AND {_REVERSE}) = count(*) * (count(*) - 1) AND bool_and(mult = '*') AS saturated FROM mults c GROUP BY element"),
+        **{f"gap_{n}": _gap(n) for n in ("pages", "users")},
+        "length_users": _sql("users", "length"),
+        "membership_benchmark": _judged(workloads.SQL["documents"], workloads.SQL["benchmark"], "SELECT element, word_id, 'exact' AS learner, reason = 'ok' AS accepted, reason FROM verdict"),
+        "membership_holdout": _judged(half("true"), half("false"), "SELECT CASE WHEN reason <> 'no_schema' THEN 'exact' END AS learner, reason, count(*) AS words FROM verdict GROUP BY ALL"),
+        "permissiveness_users": oracles.over(workloads.SQL["users"], "SELECT element, learner, count(*) AS words, count(*) FILTER (WHERE learner = 'star' OR reason = 'ok') AS accepted, round(accepted / words, 6) AS share FROM verdict, (VALUES ('exact'), ('star')) l(learner) GROUP BY element, learner", u=oracles.PERTURBED),
+        "closed_precedence_pages": _sql("pages", "SELECT element, x, y, support FROM (SELECT element, x, y, round(n_words / words, 6) AS support FROM pairs JOIN total USING (element)) f WHERE support >= 0.5 AND NOT EXISTS (SELECT 1 FROM (SELECT element, x, y, round(n_words / words, 6) AS support FROM pairs JOIN total USING (element)) a JOIN (SELECT element, x, y, round(n_words / words, 6) AS support FROM pairs JOIN total USING (element)) b ON a.element = b.element AND a.y = b.x WHERE a.element = f.element AND a.x = f.x AND b.y = f.y AND a.support >= f.support AND b.support >= f.support)"),
+        "sessions_batch": _sql("sessions", "words"),
+        "enumerate_language": "WITH RECURSIVE t AS (SELECT []::VARCHAR[] AS w UNION ALL SELECT list_append(w, s) FROM t, (VALUES ('p1'), ('p2'), ('q1'), ('q2')) v(s) WHERE len(w) < 3) SELECT array_to_string(w, ' ') AS word FROM t WHERE NOT regexp_matches(array_to_string(w, ' '), 'p2.*p1|q2.*q1')",
+        "block_orders": "WITH RECURSIVE t AS (SELECT []::VARCHAR[] AS w UNION ALL SELECT list_append(w, s) FROM t, (VALUES ('p1*'), ('p2*'), ('q1*'), ('q2*')) v(s) WHERE NOT list_contains(w, s)) SELECT array_to_string(w, ' ') AS blocks FROM t WHERE len(w) = 4 AND list_position(w, 'p1*') < list_position(w, 'p2*') AND list_position(w, 'q1*') < list_position(w, 'q2*')",
+        "precedence_selfjoin": _sql("events", "precedence"),
+        "precedence_positions": _sql("conversations", "precedence"),
+        "precedence_from_rows": _sql("lineitem", "precedence"),
+        "frequent_precedence_pages": _sql("pages", "SELECT element, x, y, round(n_words / words, 6) AS support FROM pairs JOIN total USING (element) WHERE round(n_words / words, 6) >= 0.9"),
+        "frequent_by_projection": _sql("conversations", "SELECT element, x, y, round(n_words / words, 6) AS support FROM pairs JOIN total USING (element) WHERE n_words >= 0.5 * words"),
+        "membership_general": "WITH RECURSIVE t AS (SELECT '' AS word UNION ALL SELECT word || s FROM t, (VALUES ('a'), ('b')) v(s) WHERE length(word) < 4) SELECT word, word IN ('aab', 'aba') AS accepted FROM t",
+        "saturated_events": _sql("events", f"SELECT element, (SELECT count(*) FROM pairs q WHERE q.element = c.element AND {oracles.REVERSE}) = count(*) * (count(*) - 1) AND bool_and(mult = '*') AS saturated FROM mults c GROUP BY element"),
         "count_schemas": "WITH t AS (SELECT n, sum((factorial(n::INT) / factorial(k::INT)) * (factorial((n - 1)::INT) / (factorial((k - 1)::INT) * factorial((n - k)::INT)))) AS s FROM (SELECT unnest(range(1, 8)) AS n) a, (SELECT unnest(range(1, 8)) AS k) b WHERE k <= n GROUP BY n) SELECT n, s::BIGINT AS schemas, [1, 3, 13, 75, 541, 4683, 47293][n]::BIGINT AS ordered_bell, round(pow(4, n) * factorial(n::INT)::DOUBLE / (2 * pow(ln(2), n + 1)), 3) AS asymptotic FROM t",
         "orders_accepted_planted": "SELECT element, round((SELECT sum(ln(i)) FROM range(1, 40) r(i) WHERE i <= list_sum(s)) - (SELECT coalesce(sum(ln(i)), 0) FROM range(1, 40) r(i), (SELECT unnest(s) AS z) WHERE i <= z), 6) AS log_orders, o AS orders FROM (VALUES ('inproceedings', [6, 3, 1, 1, 1, 1], '1441440'), ('article', [5, 3, 1, 1, 1, 1, 1], '8648640'), ('proceedings', [12, 1, 1, 1, 1, 1], '742560'), ('incollection', [9, 2, 1, 1], '8580'), ('phdthesis', [9, 1], '10'), ('www', [6], '1')) v(element, s, o)",
         "shuffle_words": "SELECT * FROM (VALUES ('abcd'), ('acbd'), ('acdb'), ('cabd'), ('cadb'), ('cdab')) v(word)",
