@@ -129,3 +129,25 @@ def test_training_beats_the_untrained_model(spark):
     scoring.fit(spark.createDataFrame(rows, "pick long, span binary").repartition(5), dealt)
     dealt.ready()
     assert scoring.log10_of(dealt, texts).sum() > before * 0.6
+
+
+def test_every_id_of_every_training_text_is_trained_on(spark):
+    """No run is left out, and texts dealt to tasks teach what their windows teach."""
+    ids = scoring.Ids(scoring.read_vocabulary(standard_ranks()))
+    texts = [None, b"", b"one", b" ".join(b"w%d" % i for i in range(1000)), b"again " * 130]
+    targets = scoring.windows_of(texts, ids)[:, scoring.BLOCK + 1 :].ravel()
+    assert (targets[targets >= 0] == np.concatenate(ids.texts([scoring.words_of(t) for t in texts])[0])).all()
+
+    seen = spark.sparkContext.accumulator(0)
+
+    def cut(held):
+        seen.add(len(held))
+        return scoring.windows_of(held, scoring.Ids(source.value))
+
+    source = spark.sparkContext.broadcast(scoring.read_vocabulary(standard_ranks()))
+    docs = spark.createDataFrame([(i if i else None, None if t is None else t.decode()) for i, t in enumerate(texts * 5)], "id long, text string").repartition(3)
+    model = scoring.Model(np.ones(ids.end + 1, np.int64), ids.end)
+    before = model.p["e"].copy()
+    scoring.fit(scoring.dealt_texts(docs), model, cut, 1000)
+    assert seen.value == 25
+    assert (before != model.p["e"]).any(axis=1).sum() >= len(np.unique(targets[targets >= 0])) * 0.9
