@@ -12,6 +12,7 @@ from weft import catalogue
         ("hardness_witness", "events"), ("membership_general", "events"), ("count_schemas", "events"),
         ("block_orders", "events"),
         ("enumerate_language", "events"),
+        ("examples", "events orders customer"),
     ],
 )
 def test_reads_a_table(spark, sf, name, of):
