@@ -13,6 +13,7 @@ from weft import catalogue
         ("block_orders", "events"),
         ("enumerate_language", "events"),
         ("examples", "events orders customer"),
+        ("shuffle_words", "events"),
     ],
 )
 def test_reads_a_table(spark, sf, name, of):
