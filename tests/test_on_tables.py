@@ -14,6 +14,7 @@ from weft import catalogue
         ("enumerate_language", "events"),
         ("examples", "events orders customer"),
         ("shuffle_words", "events"),
+        ("orders_accepted_planted", "orders"),
     ],
 )
 def test_reads_a_table(spark, sf, name, of):
