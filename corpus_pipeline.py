@@ -13,13 +13,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from weft.llm import bpe, decontamination, minhash, repeats, toxicity
-from weft.llm.shared import Workspace, table
+from weft.llm.shared import Workspace, sift, table
 
 
 def _without(docs: DataFrame, gone: DataFrame) -> DataFrame:
     """The rows of ``docs`` whose doc_id isn't in ``gone``; columns of ``docs`` may have any names."""
-    ids = gone.select(F.col("doc_id").alias("gone")).distinct().alias("right side")
-    return docs.alias("left side").join(ids, F.col("`left side`.doc_id") == F.col("`right side`.gone"), "left_anti")
+    ids = Workspace(docs.sparkSession, "gone").keep(gone.select(F.col("doc_id").alias("gone")).distinct(), "ids")
+    some, others = sift(docs, "doc_id", ids)
+    some = some.alias("left side").join(ids.alias("right side"), F.col("`left side`.doc_id") == F.col("`right side`.gone"), "left_anti")
+    return some.union(others)
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -49,7 +51,8 @@ def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     Null texts and rows without an id stay as they are; a text that is all such passages becomes empty;
     rows that repeat an id are one document and are cut alike.
     """
-    cut = repeats.remove(docs, repeats.find(docs, name="stage-repeats"))
+    runs = Workspace(spark, "stage-runs").keep(repeats.find(docs, name="stage-repeats"), "runs")  # read more than once
+    cut = repeats.remove(docs, runs)
     if "n_chars" in docs.columns:
         cut = cut.withColumn("n_chars", F.when(F.col("text").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(dict(docs.dtypes)["n_chars"])))
     return cut

@@ -84,3 +84,19 @@ def test_texts_packed_together(vocabulary, library):
         for text, packed in zip(many, own.packed_all(many)):
             assert list(memoryview(packed).cast("I")) == library.encode(text or "", add_special_tokens=False).ids, text
     assert all(len(p) <= 64 for p in own)
+
+
+def test_sift_loses_no_row_of_an_id(spark):
+    """Rows of ids are all among the first, nearly all others among the second, whatever columns are called."""
+    from weft.llm.shared import sift
+
+    keys = [None, -5, 2**62, *range(0, 30_000, 3)]
+    frame = spark.createDataFrame([(k, i) for i, k in enumerate(keys)], "id long, row long").withColumnRenamed("row", "c0").repartition(3)
+    held = {k for k in keys[1:] if k % 5 == 0 or k < 0}
+    ids = spark.createDataFrame([(k,) for k in held] + [(None,)], "bits long")
+    first, second = (sorted(x.collect(), key=lambda r: r.c0) for x in sift(frame, "id", ids))
+    assert sorted(r.c0 for r in first + second) == list(range(len(keys))) and first[0].__fields__ == ["id", "c0"]
+    assert held <= {r.id for r in first} and None not in {r.id for r in first}
+    assert len(first) < len(held) + len(keys) / 8
+    none, all_ = sift(frame, "id", ids.limit(0))
+    assert none.count() == 0 and all_.count() == len(keys)

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import components
-from .shared import Workspace, hashes, mix, parts, shingle_hashes, table, texts_as_bytes, words_of
+from .shared import Workspace, hashes, mix, parts, shingle_hashes, sift, table, texts_as_bytes, words_of
 
 BANDS, ROWS = 32, 4
 COORDINATES = BANDS * ROWS
@@ -179,8 +179,9 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", si
     several = banded.groupBy("band", "value").agg(F.count("*").alias("n")).where("n > 1")
     members = work.keep(banded.join(several, ["band", "value"]), "members")
     # how often a class meets others tells the texts that a bucket's copies derive from
-    meetings = members.groupBy("id").agg(F.sum("n").alias("meetings"))
-    found = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text")).join(meetings, "id", "left_semi")
+    meetings = work.keep(members.groupBy("id").agg(F.sum("n").alias("meetings")), "meetings")
+    own = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"))
+    found = sift(own, "id", meetings.select("id"))[0].join(meetings, "id", "left_semi")
     sets = work.keep(_sets(found, "id", "text", size).groupBy("id").agg(F.min("shingles").alias("shingles")), "sets")
     hubs = members.join(meetings, "id").groupBy("band", "value").agg(F.max(F.struct("meetings", -F.col("id"))).alias("hub"))
     stars = members.join(hubs.select("band", "value", (-F.col("hub.col2")).alias("hub")), ["band", "value"]).where("hub <> id")
@@ -199,7 +200,7 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", si
     second = work.keep(_across(open_members, percent), "across")
     final = components(first.union(second), work)
     placed_classes = classes.select("digest", "rep").join(final.withColumnRenamed("node", "rep"), "rep", "left").select("digest", F.coalesce("root", "rep").alias("component_id"))
-    work.drop(members, sets, stars, placed)
+    work.drop(members, meetings, sets, stars, placed)
     return rows.drop("bands", "sig").join(placed_classes, "digest", "left").select(
         F.col("id").alias(key),
         "n_shingles",

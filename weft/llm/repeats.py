@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import Workspace, hashes, mix, parts, shingle_hashes, table, texts_as_bytes, words_of
+from .shared import Workspace, hashes, mix, parts, shingle_hashes, sift, table, texts_as_bytes, words_of
 
 #: Least length of a repeat, and number of words whose hash selects and names a suffix.
 PASSAGE, GRAM = 50, 8
@@ -222,8 +222,10 @@ def find(docs: DataFrame, key: str = "doc_id", text: str = "text", name: str = "
     # a table of its own, so that both sides of the join are plain exchanges and a very common name is split at run time
     several = work.keep(several, "names")
     ats = suffixes.join(several, "name", "left_semi").groupBy("doc").agg(F.collect_set("at").alias("ats"))
-    met = work.keep(_surroundings(own.join(ats, "doc")), "surroundings")
+    ats = work.keep(ats, "places")
     work.drop(suffixes, several)
+    met = work.keep(_surroundings(sift(own, "doc", ats.select("doc"))[0].join(ats, "doc")), "surroundings")
+    work.drop(ats)
 
     # equal surroundings: all but the earliest document repeat the whole of them
     classes = work.keep(met.groupBy("name", "right", "left").agg(F.min("doc").alias("doc"), F.min_by("at", "doc").alias("at"), F.max("doc").alias("last"), F.count("*").alias("n")), "classes")
@@ -297,7 +299,9 @@ def remove(docs: DataFrame, runs: DataFrame, key: str = "doc_id", text: str = "t
     # columns are numbered while runs are joined, so that no name of theirs can clash
     plain = docs.toDF(*[f"c{i}" for i in range(last)])
     listed = runs.groupBy(F.col(key).alias("of")).agg(F.sort_array(F.collect_list(F.struct("start", "end"))).alias("runs"))
-    both = plain.join(listed, F.col(f"c{names.index(key)}") == F.col("of"), "left").drop("of")
+    own = f"c{names.index(key)}"
+    some, others = sift(plain, own, runs.select(key).distinct())
+    both = some.join(listed, F.col(own) == F.col("of"), "left").drop("of")
 
     def run(batches):
         for batch in parts(batches):
@@ -307,7 +311,7 @@ def remove(docs: DataFrame, runs: DataFrame, key: str = "doc_id", text: str = "t
             columns = [pa.array(texts, batch.column(i).type) if i == place else batch.column(i) for i in range(last)]
             yield pa.RecordBatch.from_arrays(columns, names=names)
 
-    return both.mapInArrow(run, docs.schema)
+    return both.mapInArrow(run, docs.schema).union(others.toDF(*names))
 
 
 def op6_suffix_dedup(spark, sf_dir: str) -> DataFrame:
