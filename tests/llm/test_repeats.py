@@ -108,6 +108,54 @@ def test_nested_passages_are_exact(spark, monkeypatch, group):
     assert all((got[k] == expected[k]).all() for k in expected)
 
 
+def exchanged(spark, docs):
+    """Bytes that ``find`` writes to exchanges, without joins that send a table around unasked."""
+    context = spark.sparkContext
+    put = {k: spark.conf.get(k, None) for k in ("spark.sql.autoBroadcastJoinThreshold", "spark.sql.adaptive.autoBroadcastJoinThreshold")}
+    store = context._jsc.sc().statusStore()
+
+    def stages():
+        context._jsc.sc().listenerBus().waitUntilEmpty()
+        listed = store.stageList(None, False, False, context._gateway.new_array(context._jvm.double, 0), context._jvm.java.util.ArrayList())
+        return {(x.stageId(), x.attemptId()): x.shuffleWriteBytes() for x in (listed.apply(i) for i in range(listed.size()))}
+
+    before = set(stages())
+    try:
+        for k in put:
+            spark.conf.set(k, "-1")
+        repeats.find(docs).collect()
+    finally:
+        for k, v in put.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+    return sum(n for k, n in stages().items() if k not in before)
+
+
+def test_surroundings_are_exchanged_no_more_than_needed(spark):
+    """Once for their classes, and once more (by either side) for those that share a group with others."""
+    rng = random.Random(21)
+    shared = [words(rng, 60) for _ in range(300)]
+    docs = []
+    for key in range(600):
+        w = []
+        for _ in range(4):
+            w += rng.choice(shared) + words(rng, 12)
+        docs.append((key, " ".join(w)))
+    docs = spark.createDataFrame(docs, "doc_id long, text string").repartition(4)
+    own = docs.select("doc_id", "text")
+    suffixes = repeats._suffixes(own).count()
+    assert exchanged(spark, docs) < 4 * suffixes * (repeats.PASSAGE + repeats.REACH) * repeats.WIDE
+
+
+def test_one_document_alone_in_a_large_group(spark, monkeypatch):
+    """Groups of more than GROUP suffixes of one document meet nothing; its passages elsewhere are found."""
+    monkeypatch.setattr(repeats, "GROUP", 5)
+    rng = random.Random(33)
+    line, part = words(rng, 40), words(rng, 80)
+    docs = [(0, [w for _ in range(30) for w in line + words(rng, 3)] + part), (1, words(rng, 30) + part), (2, words(rng, 20) + line * 2)]
+    expected, got = marks(docs), covered(spark, docs)
+    assert all((got[k] == expected[k]).all() for k in expected)
+
+
 def test_cutting_keeps_other_white_space():
     assert repeats.without("a\n b  c\td e ".encode(), [(1, 3)]) == b"a\n d e "
     assert repeats.without(b"a b", [(0, 2)]) == b""

@@ -221,7 +221,7 @@ def find(docs: DataFrame, key: str = "doc_id", text: str = "text", name: str = "
     several = suffixes.groupBy("name").agg(F.min("doc").alias("a"), F.max("doc").alias("b")).where("a < b").select("name")
     # a table of its own, so that both sides of the join are plain exchanges and a very common name is split at run time
     several = work.keep(several, "names")
-    ats = suffixes.join(several, "name", "left_semi").groupBy("doc").agg(F.collect_set("at").alias("ats"))
+    ats = sift(suffixes, "name", several)[0].join(several, "name", "left_semi").groupBy("doc").agg(F.collect_set("at").alias("ats"))
     ats = work.keep(ats, "places")
     work.drop(suffixes, several)
     met = work.keep(_surroundings(sift(own, "doc", ats.select("doc"))[0].join(ats, "doc")), "surroundings")
@@ -229,10 +229,12 @@ def find(docs: DataFrame, key: str = "doc_id", text: str = "text", name: str = "
 
     # equal surroundings: all but the earliest document repeat the whole of them
     classes = work.keep(met.groupBy("name", "right", "left").agg(F.min("doc").alias("doc"), F.min_by("at", "doc").alias("at"), F.max("doc").alias("last"), F.count("*").alias("n")), "classes")
-    copies = classes.where("doc < last or n > 1").select("name", "right", "left", F.col("doc").alias("of"), F.col("at").alias("own"))
-    whole = met.join(copies, ["name", "right", "left"]).where("doc > of or at <> own")
-    whole = whole.select("doc", "at", (F.length("left") / WIDE).cast("long").alias("left"), (F.length("right") / WIDE).cast("long").alias("right"), "of", "own")
-    kept = work.keep(whole, "whole")
+    # they meet again by their name and 128 bits of hash, not by hundreds of bytes
+    short = [F.col("name"), F.xxhash64("right", "left").alias("h"), F.xxhash64("left", "right").alias("g")]
+    copies = classes.where("doc < last or n > 1").select(*short, F.col("doc").alias("of"), F.col("at").alias("own"))
+    words = lambda c: (F.length(c) / WIDE).cast("long").alias(c)
+    whole = met.select(*short, "doc", "at", words("left"), words("right")).join(copies, ["name", "h", "g"]).where("doc > of or at <> own")
+    kept = work.keep(whole.drop("name", "h", "g"), "whole")
     # more places of an earliest document with the surroundings of the one that is compared
     again = kept.where("doc = of").groupBy("doc", F.col("own").alias("at")).agg(F.collect_list("at").alias("more"))
     whole = kept.where("doc > of").drop("own")
@@ -245,12 +247,14 @@ def find(docs: DataFrame, key: str = "doc_id", text: str = "text", name: str = "
         "doc", "at", F.col("right" if right else "left").alias("main"), F.col("left" if right else "right").alias("other"),
     )
     sided = side(True).union(side(False))
-    groups = sided.groupBy("side", "grouped").agg(F.count("*").alias("n"), F.min("doc").alias("first"), F.max("doc").alias("last")).where("first < last")
-    groups = work.keep(groups.drop("first", "last"), "groups")
+    groups = sided.groupBy("side", "grouped").agg(F.count("*").alias("n"), (F.min("doc") < F.max("doc")).alias("several"))
+    groups = work.keep(groups.where(F.col("several") | (F.col("n") > GROUP)), "groups")
     count = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    few = sided.join(groups.where(F.col("n") <= GROUP), ["side", "grouped"])
+    large = groups.where(F.col("n") > GROUP)  # a row for more than GROUP suffixes each, so few enough to send around
+    # surroundings are exchanged once, to be compared; suffixes alone in their group that the sieve lets through meet nothing there
+    few = sift(sided, "grouped", groups.where(F.col("n") <= GROUP).select("grouped"))[0].join(F.broadcast(large), ["side", "grouped"], "left_anti")
     ordered = few.repartition(count, "side", "grouped").sortWithinPartitions("side", "grouped")
-    crowded = _crowded(sided.join(groups.where(F.col("n") > GROUP), ["side", "grouped"]))
+    crowded = _crowded(sided.join(F.broadcast(large.where("several")), ["side", "grouped"]))
     places = F.concat(F.array("at"), F.coalesce("more", F.array().cast("array<long>")))
     found = _neighbours(ordered).union(crowded).join(again, ["doc", "at"], "left").select("doc", F.explode(places).alias("at"), "left", "right", "of").union(whole)
     spans = work.keep(found.select("doc", (F.col("at") - F.col("left")).alias("start"), (F.col("at") + F.col("right")).alias("end"), "of").distinct(), "spans")
