@@ -4,6 +4,7 @@ import numpy as np
 import pytest
 
 from weft.llm import repeats
+from weft.llm.shared import may_hold, sieve_of
 
 
 def words(rng, n, letters="abcdefghij"):
@@ -146,6 +147,22 @@ def test_surroundings_are_exchanged_no_more_than_needed(spark):
     assert exchanged(spark, docs) < 4 * suffixes * (repeats.PASSAGE + repeats.REACH) * repeats.WIDE
 
 
+def test_rows_that_repeat_a_key_with_other_texts(spark):
+    """Each row's suffixes are its own; a place of the longer text need not be in the shorter one."""
+    rng = random.Random(3)
+    part, long_ = words(rng, 60), words(rng, 200)
+    docs = spark.createDataFrame([(1, " ".join(long_ + part)), (2, " ".join(words(rng, 150) + part)), (2, " ".join(words(rng, 55)))], "doc_id long, text string")
+    assert [(r.doc_id, r.start, r.end, r.of) for r in repeats.find(docs).collect()] == [(2, 150, 210, 1)]
+
+
+def test_sieves_hold_their_names(spark):
+    rng = np.random.default_rng(4)
+    names, others = rng.integers(0, 1 << 64, 5000, np.uint64), rng.integers(0, 1 << 64, 50_000, np.uint64)
+    sieve = sieve_of(spark.createDataFrame([(int(x),) for x in names.view(np.int64)], "name long"))
+    assert may_hold(sieve, names).all() and may_hold(sieve, others).mean() < 0.03
+    assert not may_hold(sieve_of(spark.createDataFrame([], "name long")), others).any()
+
+
 def test_one_document_alone_in_a_large_group(spark, monkeypatch):
     """Groups of more than GROUP suffixes of one document meet nothing; its passages elsewhere are found."""
     monkeypatch.setattr(repeats, "GROUP", 5)

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import Workspace, hashes, mix, parts, shingle_hashes, sift, table, texts_as_bytes, words_of
+from .shared import Workspace, hashes, may_hold, mix, parts, shingle_hashes, sieve_of, sift, table, texts_as_bytes, words_of
 
 #: Least length of a repeat, and number of words whose hash selects and names a suffix.
 PASSAGE, GRAM = 50, 8
@@ -51,38 +51,44 @@ def selected(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _suffixes(docs: DataFrame) -> DataFrame:
+    """(doc, name) of the suffixes of (doc, text), each name of a document once."""
+
     def run(batches):
         for batch in parts(batches):
-            ids, ats, names = [], [], []
+            ids, names = [], []
             for doc, text in zip(batch.column(0).to_pylist(), texts_as_bytes(batch.column(1))):
-                at, name = selected(hashes(words_of(text)))
-                ids.append(np.full(len(at), doc, np.int64)), ats.append(at), names.append(name.view(np.int64))
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x) if x else np.empty(0, np.int64)) for x in (ids, ats, names)], names=["doc", "at", "name"])
+                name = np.unique(selected(hashes(words_of(text)))[1])
+                ids.append(np.full(len(name), doc, np.int64)), names.append(name.view(np.int64))
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x) if x else np.empty(0, np.int64)) for x in (ids, names)], names=["doc", "name"])
 
-    return docs.mapInArrow(run, "doc long, at long, name long")
+    return docs.mapInArrow(run, "doc long, name long")
 
 
-def _surroundings(placed: DataFrame) -> DataFrame:
-    """(name, doc, at, right, left) from (doc, text, ats); left is read backwards from the suffix."""
+def _surroundings(docs: DataFrame, repeated: np.ndarray) -> DataFrame:
+    """(name, doc, at, right, left) of the suffixes of (doc, text) whose names the sieve ``repeated`` lets through; left is read backwards from the suffix."""
+    sent = docs.sparkSession.sparkContext.broadcast(repeated)
 
     def run(batches):
         for batch in batches:
             for i in range(0, batch.num_rows, 200):
                 part = batch.slice(i, 200)
                 rows = []
-                for doc, text, ats in zip(part.column(0).to_pylist(), texts_as_bytes(part.column(1)), part.column(2).to_pylist()):
+                for doc, text in zip(part.column(0).to_pylist(), texts_as_bytes(part.column(1))):
                     words = hashes(words_of(text))
-                    names = shingle_hashes(words, GRAM).view(np.int64)
+                    ats, names = selected(words)
+                    some = may_hold(sent.value, names)
+                    if not some.any():
+                        continue
                     small = mix(words).view(np.uint8).reshape(-1, 8)[:, :WIDE]
                     ahead, back = small.tobytes(), small[::-1].tobytes()
                     n = len(words)
-                    for at in ats:
-                        rows.append((int(names[at]), doc, at, ahead[at * WIDE : (at + PASSAGE) * WIDE], back[(n - at) * WIDE : (n - at + REACH) * WIDE]))
+                    for at, name in zip(ats[some].tolist(), names[some].view(np.int64).tolist()):
+                        rows.append((name, doc, at, ahead[at * WIDE : (at + PASSAGE) * WIDE], back[(n - at) * WIDE : (n - at + REACH) * WIDE]))
                 columns = zip(*rows) if rows else ((),) * 5
                 kinds = (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary())
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds)], names=["name", "doc", "at", "right", "left"])
 
-    return placed.mapInArrow(run, "name long, doc long, at long, right binary, left binary")
+    return docs.mapInArrow(run, "name long, doc long, at long, right binary, left binary")
 
 
 def common(a: bytes, b: bytes) -> int:
@@ -217,15 +223,11 @@ def find(docs: DataFrame, key: str = "doc_id", text: str = "text", name: str = "
     """
     work = Workspace(docs.sparkSession, name)
     own = docs.select(F.col(key).cast("long").alias("doc"), F.col(text).alias("text")).where("doc is not null and text is not null")
-    suffixes = work.keep(_suffixes(own), "suffixes")
-    several = suffixes.groupBy("name").agg(F.min("doc").alias("a"), F.max("doc").alias("b")).where("a < b").select("name")
-    # a table of its own, so that both sides of the join are plain exchanges and a very common name is split at run time
+    several = _suffixes(own).groupBy("name").agg(F.min("doc").alias("a"), F.max("doc").alias("b")).where("a < b").select("name")
     several = work.keep(several, "names")
-    ats = sift(suffixes, "name", several)[0].join(several, "name", "left_semi").groupBy("doc").agg(F.collect_set("at").alias("ats"))
-    ats = work.keep(ats, "places")
-    work.drop(suffixes, several)
-    met = work.keep(_surroundings(sift(own, "doc", ats.select("doc"))[0].join(ats, "doc")), "surroundings")
-    work.drop(ats)
+    # texts are read again where they lie, neither exchanged nor joined; a name of one document that the sieve lets through meets nothing
+    met = work.keep(_surroundings(own, sieve_of(several)), "surroundings")
+    work.drop(several)
 
     # equal surroundings: all but the earliest document repeat the whole of them
     classes = work.keep(met.groupBy("name", "right", "left").agg(F.min("doc").alias("doc"), F.min_by("at", "doc").alias("at"), F.max("doc").alias("last"), F.count("*").alias("n")), "classes")
