@@ -60,6 +60,22 @@ def test_windows_are_those_of_the_whole_text(monkeypatch):
             at += size
 
 
+def test_training_cuts_windows_where_scoring_does():
+    """Runs of a text no longer break windows: contexts and targets are the blocks that scoring lays out."""
+    ids = scoring.Ids(scoring.read_vocabulary(standard_ranks()))
+    texts = [None, b"", b"one", b" ".join(b"w%dx" % i for i in range(700)), b"again " * 130]
+    spans = scoring.windows_of(texts, ids)
+    known = ids.texts([scoring.words_of(t) for t in texts])[0]
+    blocks, targets, alone = scoring.layout(known, ids.end)
+    real = (targets >= 0).any(axis=1)
+    assert (spans[:, scoring.BLOCK + 1 :] == targets[real]).all() and len(spans) == real.sum()
+    assert ((spans[:, 0] < 0) == alone[real]).all()
+    inputs = np.where(spans[:, scoring.BLOCK : -1] < 0, ids.end, spans[:, scoring.BLOCK : -1])
+    assert (inputs == blocks[1:][real]).all()
+    later = ~alone[real]
+    assert (spans[later, : scoring.BLOCK] == blocks[:-1][real][later]).all()
+
+
 def toy(size=58):
     model = scoring.Model(np.arange(1, size + 2), end=size)
     rng = np.random.default_rng(0)
