@@ -124,6 +124,59 @@ def test_long_codes_keep_their_odds():
     assert np.allclose(p.prod(axis=1) * 10**deep, (counts + 1) / (counts + 1).sum(), rtol=1e-4)
 
 
+def test_groups_hold_the_nodes_of_all_their_codes():
+    """A vector meets the nodes of its id's group alone, a part of all, and none of its code is missing."""
+    counts = np.random.default_rng(3).zipf(1.3, 3000) % 10_000
+    nodes, signs, _, bias = scoring.code_tree(counts, scoring.DEPTH)
+    tree = scoring.Tree(nodes, signs, len(bias) - 1)
+    assert len(tree.columns) > 4 and tree.width < len(bias) / 4
+    y = np.random.default_rng(4).integers(0, 3000, (3, 200))
+    order, borders, dealt, at = tree.deal(y)
+    for i in range(3):
+        assert (y[i][order[i]] == dealt[i]).all() and (np.sort(order[i]) == np.arange(200)).all()
+        for g, (lo, hi) in enumerate(zip(borders[i], borders[i][1:])):
+            own = at[i, lo:hi] - np.arange(lo, hi)[:, None] * tree.width
+            assert (tree.columns[g][own] == nodes[dealt[i, lo:hi]]).all()
+
+
+def windows_for(model, rng, n):
+    texts = [np.append(rng.integers(0, model.end, k), model.end).astype(np.int32) for k in rng.integers(0, 40, n)]
+    return texts, scoring.windows_of_ids(texts, model.end)
+
+
+def test_a_step_follows_the_slope_of_the_score():
+    """What a step adds to the sums of squares is the slope of the score, told from scores nearby."""
+    model, rng = toy()
+    model.p["b1"][0] = np.where(np.arange(scoring.HIDDEN) % 2, 4, -4)  # far from where the layer bends
+    model.p["w2"] *= 0.1
+    texts, spans = windows_for(model, rng, 12)
+    assert len(spans) <= scoring.BATCH
+    n = sum(map(len, texts))
+    loss = lambda: (model.ready(), -scoring.log10_of(model, texts).sum() * math.log(10) / n)[1]
+    before, given = {k: v.copy() for k, v in model.sums.items()}, {k: v.copy() for k, v in model.p.items()}
+    slopes = {}
+    for name, p in model.p.items():
+        slopes[name] = []
+        for at in rng.integers(0, p.size, 12).tolist():
+            if name in ("node", "bias") and at // p.shape[1] == len(p) - 1:
+                continue  # never learns
+            kept, both = p.ravel()[at], []
+            for by in (0.01, -0.01):
+                p.ravel()[at] = kept + by
+                both.append(loss())
+            p.ravel()[at] = kept
+            slopes[name].append((at, (both[0] - both[1]) / 0.02))
+    told = model.train(spans, 1)
+    for name, held in slopes.items():
+        for at, slope in held:
+            square = (model.sums[name] - before[name]).ravel()[at]
+            assert abs(math.sqrt(max(0, square)) - abs(slope)) < 2e-3 + 0.03 * abs(slope), (name, at)
+            if abs(slope) > 1e-3:
+                assert (model.p[name].ravel()[at] < given[name].ravel()[at]) == (slope > 0)
+        assert (told[name][1] == 1).all()
+    assert set(told["e"][0].tolist()) == set(np.where(spans[:, :-1] < 0, model.end, spans[:, :-1]).ravel().tolist())
+
+
 def test_training_beats_the_untrained_model(spark):
     rng = np.random.default_rng(1)
     texts = [np.append(np.tile([1, 2, 3, 4], 10)[: rng.integers(8, 40)], 9).astype(np.int32) for _ in range(200)]
