@@ -220,3 +220,11 @@ def test_every_id_of_every_training_text_is_trained_on(spark):
     scoring.fit(scoring.dealt_texts(docs), model, cut, 1000)
     assert seen.value == 25
     assert (before != model.p["e"]).any(axis=1).sum() >= len(np.unique(targets[targets >= 0])) * 0.9
+
+
+def test_parts_are_dealt_evenly_whatever_their_number(spark):
+    """With doubles, an even number of parts left most of them empty and the others large."""
+    docs = spark.range(3600).select("id", F.col("id").cast("string").alias("text"))
+    for parts in (35, 36, 64):
+        n = [r["count"] for r in scoring.dealt_parts(scoring.dealt_texts(docs), parts).groupBy("part").count().collect()]
+        assert len(n) == parts and sum(n) == 3600 and max(n) < 3 * 3600 / parts
